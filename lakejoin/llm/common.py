@@ -11,7 +11,6 @@ Conventions that hold for every operator here:
 
 from __future__ import annotations
 
-import os
 import tempfile
 import uuid
 from collections.abc import Callable
@@ -21,6 +20,8 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..session import ship
+
 #: A word: a run of characters other than the six ASCII blanks. ``bytes.split()`` cuts UTF-8 text alike.
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -42,6 +43,7 @@ _ARROW = {
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship(spark)
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
@@ -77,6 +79,7 @@ def arrow_schema(ddl: str) -> pa.Schema:
 
 def map_rows(df: DataFrame, fn: Callable[[dict], dict], ddl: str, step: int = STEP) -> DataFrame:
     """Run ``fn`` over column lists, a few hundred rows at a time: dict of lists in, dict of lists out."""
+    ship(df.sparkSession)
     schema = arrow_schema(ddl)
 
     def run(batches):
@@ -126,7 +129,3 @@ class Cache(dict):
         value = self[key] = self.fn(key)
         return value
 
-
-def local_tmp() -> str:
-    """A scratch folder of this process alone; never used for what another process reads."""
-    return os.path.join(tempfile.gettempdir(), f"lakejoin-{os.getpid()}")

@@ -2,7 +2,23 @@
 
 from __future__ import annotations
 
+from . import curriculum
+from .chaining import op3_chained_passages
+from .compression_lid import op7_compression_lid
+from .curriculum import op5_curriculum_mix
 from .nbsvm import op10_nbsvm_quality
+from .simhash import op2_simhash_components
+from .toxicity import op4_toxicity_boosted
 
-QUERIES = {"op10_nbsvm_quality": op10_nbsvm_quality}
-ORACLES: dict[str, str] = {}
+QUERIES = {
+    f.__name__: f
+    for f in (
+        op2_simhash_components,
+        op3_chained_passages,
+        op4_toxicity_boosted,
+        op5_curriculum_mix,
+        op7_compression_lid,
+        op10_nbsvm_quality,
+    )
+}
+ORACLES: dict[str, str] = {"op5_curriculum_mix": curriculum.ORACLE}
