@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from . import curriculum
+from . import curriculum, merkle, rollup
 from .chaining import op3_chained_passages
 from .compression_lid import op7_compression_lid
 from .curriculum import op5_curriculum_mix
+from .merkle import op9_merkle_fingerprints
 from .nbsvm import op10_nbsvm_quality
+from .rollup import op8_token_rollup
 from .simhash import op2_simhash_components
 from .toxicity import op4_toxicity_boosted
 
@@ -18,7 +20,9 @@ QUERIES = {
         op4_toxicity_boosted,
         op5_curriculum_mix,
         op7_compression_lid,
+        op8_token_rollup,
+        op9_merkle_fingerprints,
         op10_nbsvm_quality,
     )
 }
-ORACLES: dict[str, str] = {"op5_curriculum_mix": curriculum.ORACLE}
+ORACLES: dict[str, str] = {"op5_curriculum_mix": curriculum.ORACLE, "op8_token_rollup": rollup.ORACLE, "op9_merkle_fingerprints": merkle.ORACLE}
