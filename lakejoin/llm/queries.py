@@ -8,6 +8,7 @@ from .compression_lid import op7_compression_lid
 from .curriculum import op5_curriculum_mix
 from .merkle import op9_merkle_fingerprints
 from .nbsvm import op10_nbsvm_quality
+from .outliers import op1_robust_outliers
 from .rollup import op8_token_rollup
 from .simhash import op2_simhash_components
 from .toxicity import op4_toxicity_boosted
@@ -15,6 +16,7 @@ from .toxicity import op4_toxicity_boosted
 QUERIES = {
     f.__name__: f
     for f in (
+        op1_robust_outliers,
         op2_simhash_components,
         op3_chained_passages,
         op4_toxicity_boosted,
