@@ -9,6 +9,7 @@ from .curriculum import op5_curriculum_mix
 from .merkle import op9_merkle_fingerprints
 from .nbsvm import op10_nbsvm_quality
 from .outliers import op1_robust_outliers
+from .pieces import op6_piece_nbest
 from .rollup import op8_token_rollup
 from .simhash import op2_simhash_components
 from .toxicity import op4_toxicity_boosted
@@ -21,6 +22,7 @@ QUERIES = {
         op3_chained_passages,
         op4_toxicity_boosted,
         op5_curriculum_mix,
+        op6_piece_nbest,
         op7_compression_lid,
         op8_token_rollup,
         op9_merkle_fingerprints,
