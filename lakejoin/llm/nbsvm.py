@@ -16,6 +16,7 @@ import re
 import zlib
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -196,10 +197,7 @@ def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def _score_udf(model: Model):
-    import pandas as pd
-    from pyspark.sql.functions import pandas_udf
-
-    @pandas_udf("double")
+    @F.pandas_udf("double")
     def of(text: pd.Series) -> pd.Series:
         return pd.Series([model.score(indicators(x)) for x in text], dtype="float64")
 
