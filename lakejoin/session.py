@@ -4,10 +4,11 @@ from __future__ import annotations
 
 import os
 import tempfile
+import uuid
 import zipfile
 from pathlib import Path
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 _NAME = "lakejoin-package.zip"
 
@@ -23,3 +24,18 @@ def ship(spark: SparkSession) -> None:
         for file in sorted(root.rglob("*.py")):
             z.write(file, f"{root.name}/{file.relative_to(root)}")
     sc.addPyFile(path)
+
+
+def shared_dir(spark: SparkSession) -> str:
+    """The checkpoint folder of the session; only where none is set (tests, one machine) a temporary one."""
+    sc = spark.sparkContext
+    if sc.getCheckpointDir() is None:
+        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="lakejoin-"))
+    return sc.getCheckpointDir()
+
+
+def stored(df: DataFrame) -> DataFrame:
+    """End the lineage of a frame: compressed Parquet in the shared folder, read back with its size known."""
+    path = f"{shared_dir(df.sparkSession)}/table-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.parquet(path)
