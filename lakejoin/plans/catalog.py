@@ -2,14 +2,14 @@
 
 from __future__ import annotations
 
-
-def flagship(spark, sf_dir):
-    raise NotImplementedError
+from . import learning, pairing, profiling, published, streams, surround  # noqa: F401  each registers its queries
+from .learning import flagship  # noqa: F401
+from .registry import ORACLES, QUERIES
 
 
 def queries() -> dict:
-    return {}
+    return dict(QUERIES)
 
 
 def oracle_sql() -> dict:
-    return {}
+    return dict(ORACLES)
