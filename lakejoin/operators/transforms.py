@@ -23,7 +23,7 @@ def lookup(df: DataFrame, col: str, mapping: DataFrame) -> DataFrame:
 def unwind(df: DataFrame, col: str, sep: str | None = None) -> DataFrame:
     """One row an element of an array, of a map's keys, or of a string split at ``sep`` (taken literally)."""
     kind = df.schema[col].dataType
-    items = F.map_keys(col) if isinstance(kind, T.MapType) else F.col(col) if isinstance(kind, T.ArrayType) else F.transform(F.split(col, r"\Q" + (sep or ";") + r"\E"), F.trim)
+    items = F.map_keys(col) if isinstance(kind, T.MapType) else F.col(col) if isinstance(kind, T.ArrayType) else F.transform(F.split(col, r"\Q" + (sep or ";") + r"\E"), lambda x: F.trim(x))
     return df.withColumn(col, F.explode(items))
 
 

@@ -26,7 +26,7 @@ vals AS (SELECT dataset, attr, value, cnt, {valuetypes.sql_broad('n')} AS broad,
   length(regexp_replace(n, '{normalize.NOT_TEXT}', '', 'g')) AS chars,
   len(list_filter(string_split(regexp_replace(n, '{normalize.NOT_WORD}', ' ', 'g'), ' '), lambda w: w <> '')) AS n_words FROM low),
 agg AS (SELECT dataset, attr, CAST(sum(cnt) AS BIGINT) AS n_rows, CAST(coalesce(sum(cnt) FILTER (value IS NOT NULL), 0) AS BIGINT) AS n_nonnull FROM vals GROUP BY ALL),
-some AS (SELECT dataset, attr, count(*) AS cardinality, sum(cnt * log2(cnt)) AS clogc, avg(cnt) AS freq_avg, min(cnt) AS freq_min, max(cnt) AS freq_max, stddev_pop(cnt) AS freq_sd,
+seen AS (SELECT dataset, attr, count(*) AS cardinality, sum(cnt * log2(cnt)) AS clogc, avg(cnt) AS freq_avg, min(cnt) AS freq_min, max(cnt) AS freq_max, stddev_pop(cnt) AS freq_sd,
   quantile_cont(cnt, [0.125, 0.25, 0.375, 0.5, 0.625, 0.75, 0.875]) AS oct, max(chars) AS len_max, min(chars) AS len_min, sum(chars * cnt) AS chars,
   CAST(sum(n_words * cnt) AS BIGINT) AS words_total, min(n_words) AS words_min, max(n_words) AS words_max, CAST(sum(n_words * n_words * cnt) AS DOUBLE) AS words2,
   {', '.join(_SHARE('broad', t, 'b') for t in valuetypes.BROAD)}, {', '.join(_SHARE('specific', t, 's') for t in valuetypes.SPECIFIC)}
@@ -38,7 +38,7 @@ prof AS (SELECT a.dataset, a.attr, n_rows, n_nonnull, coalesce(cardinality, 0) A
   {', '.join(f'b_{t} / n_nonnull AS share_{t}' for t in valuetypes.BROAD)}, {', '.join(f's_{t} / n_nonnull AS share_{t}' for t in valuetypes.SPECIFIC)},
   len_max, len_min, chars / n_nonnull AS len_avg, words_total, words_total / n_nonnull AS words_avg, words_min, words_max,
   sqrt(greatest(words2 / n_nonnull - (words_total / n_nonnull) * (words_total / n_nonnull), 0.0)) AS words_sd
-  FROM agg a LEFT JOIN some s ON a.dataset = s.dataset AND a.attr = s.attr),
+  FROM agg a LEFT JOIN seen s ON a.dataset = s.dataset AND a.attr = s.attr),
 strs AS (SELECT * FROM prof WHERE data_type IS NOT NULL AND data_type NOT IN ('numeric', 'datetime') AND specific_type <> 'phone')"""
 
 _DOUBLES = {"uniqueness", "incompleteness", "entropy", "freq_avg", "freq_sd", "pct_min", "pct_max", "pct_sd", "constancy", "len_avg", "words_avg", "words_sd", *(f"share_{t}" for t in (*valuetypes.BROAD, *valuetypes.SPECIFIC))}

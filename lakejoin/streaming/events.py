@@ -14,7 +14,8 @@ from ..sources.lake import melt
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
-    return spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{sf_dir}/events.parquet*")
+    read = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{sf_dir}/events.parquet*")
+    return read.withColumn("ts", F.col("ts").cast("timestamp"))  # watermarks need a zoned type
 
 
 def run_to_end(stream: DataFrame, mode: str) -> DataFrame:
