@@ -36,7 +36,7 @@ def signatures(freq: DataFrame, m: int = M, scheme: str = "classic") -> DataFram
         low = hashed.groupBy("dataset", "attr", (F.col("h") % m).alias("slot")).agg(F.min("h").alias("lo"), F.count(F.lit(1)).alias("n"))
         slots = low.groupBy("dataset", "attr").agg(F.sum("n").alias("card"), F.map_from_entries(F.collect_list(F.struct("slot", "lo"))).alias("by"))  # m entries at most
         keys = F.array_sort(F.map_keys("by"))
-        at = lambda i: F.coalesce(F.element_at(F.filter(keys, lambda k: k >= i), 1), F.element_at(keys, 1))
+        at = lambda i: F.coalesce(F.get(F.filter(keys, lambda k: k >= i), F.lit(0)), F.get(keys, F.lit(0)))
         sig = slots.withColumn("sig", F.transform(F.sequence(F.lit(0), F.lit(m - 1)), lambda i: F.element_at("by", at(i)) * m + F.pmod(at(i) - i, F.lit(m)))).drop("by")
     return sig.withColumn("id", F.concat_ws("|", "dataset", "attr"))
 

@@ -69,10 +69,10 @@ _D += ["least(a.cardinality, b.cardinality) / a.cardinality AS best_containment"
 _NAMES = [c for c in pairs.FEATURES if c != "d_top_soundex"]
 
 
-@query("pair_distances", f"{_Z}{_W}, d AS (SELECT {_PAIRS}, {', '.join(_D)} FROM zz a JOIN zz b ON a.dataset <> b.dataset) SELECT ref_dataset, ref_attr, cand_dataset, cand_attr, {', '.join(f'round(CAST({c} AS DOUBLE), 6) AS {c}' for c in _NAMES)} FROM d")
+@query("pair_distances", f"{_Z}{_W}, d AS (SELECT {_PAIRS}, {', '.join(_D)} FROM zz a JOIN zz b ON a.dataset <> b.dataset) SELECT ref_dataset, ref_attr, cand_dataset, cand_attr, {', '.join(f'round(CAST({c} AS DOUBLE), 9) AS {c}' for c in _NAMES)} FROM d")
 def vectors(spark, sf_dir):
     """All features but the soundex one, which DuckDB can't compute; tests cover that one."""
-    return context(spark, sf_dir).vectors.select(*pairs.ID, *[F.round(c, 6).alias(c) for c in _NAMES])
+    return context(spark, sf_dir).vectors.select(*pairs.ID, *[F.round(c, 9).alias(c) for c in _NAMES])
 
 
 #: Exact intersections by a self-join of values: another algorithm than the engine's owner sets.
