@@ -75,10 +75,11 @@ def likeness(a: Column, b: Column) -> Column:
 
 def successors(keys: DataFrame, low: int, high: int) -> DataFrame:
     """(k, next) of distinct bigint keys (k) between ``low`` and ``high``, both present; the last is followed by the first."""
-    up = F.shiftright("k", SHIFT)
+    near = high - low < 1 << SHIFT
+    up = F.lit(0).cast("bigint") if near else F.shiftright("k", SHIFT)
     order = Window.partitionBy("up").orderBy("k")
     inner = keys.withColumn("up", up).withColumn("lead", F.lead("k").over(order))
-    if low >> SHIFT == high >> SHIFT:
+    if near:
         return inner.select("k", F.coalesce("lead", F.lit(low)).alias("next"))
     firsts = stored(keys.groupBy(up.alias("k")).agg(F.min("k").alias("first")))
     above = successors(firsts.select("k"), low >> SHIFT, high >> SHIFT)
