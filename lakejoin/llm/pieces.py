@@ -19,6 +19,7 @@ from __future__ import annotations
 
 import heapq
 import re
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -26,13 +27,34 @@ import sentencepiece
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import Cache, documents, map_rows
+from .common import documents, map_rows
 
 MODEL, NBEST = "/opt/tokenizers/piece_bpe_32k.model", 2
 MARK = "▁"
 _FAST = re.compile(rf"{MARK}*[^{MARK}\n]+|{MARK}+|\n")
 
 
+class Recent(dict):
+    """``memo[key]`` computes a missing value with ``fn``. Two generations of at most ``most`` keys each: memory is bounded,
+    and what was asked for lately outlives the change of generations."""
+
+    __slots__ = ("fn", "most", "old")
+
+    def __init__(self, fn, most: int):
+        super().__init__()
+        self.fn, self.most, self.old = fn, most, {}
+
+    def __missing__(self, key):
+        value = self.old.get(key)
+        if value is None:
+            value = self.fn(key)
+        if len(self) >= self.most:
+            self.old = self.copy()
+            self.clear()
+        self[key] = value
+        return value
+
+
 def combined(parts: list[list[tuple[float, bytes]]], n: int) -> list[tuple[float, list[int]]]:
     """N best sums of one choice from each part: (score, choice of each part)."""
     best = sum(p[0][0] for p in parts)
@@ -73,32 +95,40 @@ class Pieces:
             elif not (sp.is_control(i) or sp.is_unknown(i) or sp.is_unused(i)):
                 self.score[piece] = (sp.get_score(i), i)
                 self.text[i] = piece.replace(MARK, " ").encode()
-        self.begins = {p[:k] for p in self.score for k in range(1, len(p))}
-        self.score = {p: (w, (i,)) for p, (w, i) in self.score.items()}
+        self.trie: dict = {}
+        for piece, (w, i) in self.score.items():
+            node, entry = self.trie, None
+            for c in piece:
+                entry = node.setdefault(c, [{}, None])
+                node = entry[0]
+            entry[1] = (w, (i,))
         self.glue = {a + b for p in self.score for a, b in zip(p, p[1:])}
         self.unknown = -float(size) - 10.0
         self.fast = not any(g[1] == MARK and g[0] != MARK or "\n" in g for g in self.glue)
         self.mark = (np.array([self.byte[b] for b in MARK.encode()], "<i4").tobytes(), self.unknown * 3, float("inf"))
-        self.part = Cache(self._part, 200_000)
-        self.chunk = Cache(self._chunk, 250_000)
+        self.part = Recent(self._part, 150_000)
+        self.chunk = Recent(self._chunk, 300_000)
 
     def lattice(self, s: str) -> tuple[list[list[tuple[int, float, tuple[int, ...]]]], list[float]]:
         """For each place the edges that end there (start, score, ids), and the best score from the start to it."""
-        n, get, begins = len(s), self.score.get, self.begins
+        n, trie = len(s), self.trie
         edges: list = [[] for _ in range(n + 1)]
         ahead = [0.0] + [float("-inf")] * n
         for i in range(n):
-            so_far, alone = ahead[i], False
-            for j in range(i + 1, n + 1):
-                piece = s[i:j]
-                if found := get(piece):
+            so_far, node, j, alone = ahead[i], trie, i, False
+            for c in s[i:]:
+                step = node.get(c)
+                if step is None:
+                    break
+                node, found = step
+                j += 1
+                if found is not None:
                     w = found[0]
                     edges[j].append((i, w, found[1]))
                     if so_far + w > ahead[j]:
                         ahead[j] = so_far + w
-                    alone = alone or j == i + 1
-                if piece not in begins:
-                    break
+                    if j == i + 1:
+                        alone = True
             if not alone:
                 raw = s[i].encode("utf-8", "replace")
                 w = self.unknown * len(raw)
@@ -127,11 +157,29 @@ class Pieces:
         return out
 
     def _part(self, s: str) -> tuple[bytes, float, float]:
-        """(ids of the best, its score, loss of the second) of a part."""
-        got = self.search(s, 2)
-        return np.array(got[0][1], "<i4").tobytes(), got[0][0], got[0][0] - got[1][0] if len(got) > 1 else float("inf")
+        """(ids of the best, its score, loss of the second) of a part.
+
+        The search for the first path alone: the heuristic is exact, so the next node of the best path is the one of
+        greatest estimate, and the greatest estimate left on the agenda is the second path's score.
+        """
+        edges, ahead = self.lattice(s)
+        at, done, second, ids = len(s), 0.0, float("-inf"), ()
+        while at:
+            best = float("-inf")
+            for edge in edges[at]:
+                estimate = done + edge[1] + ahead[edge[0]]
+                if estimate > best:
+                    second = max(second, best)
+                    best, take = estimate, edge
+                elif estimate > second:
+                    second = estimate
+            at, done, ids = take[0], done + take[1], take[2] + ids
+        return array("i", ids).tobytes(), done, done - second
 
     def _cut(self, s: str) -> list[str]:
+        """Parts that no piece crosses; a run of letters is left whole, which changes nothing but the work."""
+        if s[1:].isalpha():
+            return [s]
         cuts = [0, *[i for i in range(1, len(s)) if s[i - 1 : i + 1] not in self.glue], len(s)]
         return [s[a:b] for a, b in zip(cuts, cuts[1:])]
 
