@@ -47,8 +47,7 @@ class Matcher:
         order = Window.partitionBy("dataset", "attr").orderBy(F.md5("value"))
         values = freq.where((F.col("dataset") != dataset) & F.col("value").isNotNull()).withColumn("i", F.row_number().over(order)).where(F.col("i") <= VALUES)
         rows = _apply(self.base, _featured(values.select("dataset", "attr", "value")))
-        p = vector_to_array(self.meta.transform(rows)["m"])
-        means = self.meta.transform(rows).select("dataset", "attr", p.alias("p")).groupBy("dataset", "attr").agg(F.array(*[F.avg(F.col("p")[i]) for i in range(len(self.attrs))]).alias("p"))
+        means = self.meta.transform(rows).select("dataset", "attr", vector_to_array("m").alias("p")).groupBy("dataset", "attr").agg(F.array(*[F.avg(F.col("p")[i]) for i in range(len(self.attrs))]).alias("p"))
         best = F.array_max("p")
         names = F.array(*map(F.lit, self.attrs))
         return means.where(best > 1 / len(self.attrs)).select(F.lit(dataset).alias("ref_dataset"), F.element_at(names, F.array_position("p", best).cast("int")).alias("ref_attr"), F.col("dataset").alias("cand_dataset"), F.col("attr").alias("cand_attr"), best.alias("probability"))
