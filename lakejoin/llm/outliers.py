@@ -160,7 +160,7 @@ def estimates(rows: DataFrame) -> DataFrame:
     state = stored(products.select("g", "m", starts("c", "s").alias("v")).select("g", F.col("m").alias("a_m"), "v.a_v", F.col("m").alias("b_m"), "v.b_v"))
     for _ in range(STEPS):
         far = rows.join(state, "g").select("g", *names, _square(names, "a").alias("da"), _square(names, "b").alias("db"))
-        cut = far.groupBy("g").agg(*[F.percentile_approx(d, SUBSET, 10_000).alias(f"q{d}") for d in ("da", "db")])
+        cut = stored(far.groupBy("g").agg(*[F.percentile_approx(d, SUBSET, 10_000).alias(f"q{d}") for d in ("da", "db")]))  # its size is known, so no group's rows meet in one task
         near = far.join(cut, "g").groupBy("g").agg(*[_sums(names, F.col(d) <= F.col(f"q{d}")).alias(f"s{d}") for d in ("da", "db")])
         next_ = near.select("g", solved("sda").alias("a"), solved("sdb").alias("b"))
         state = stored(next_.select("g", *[F.col(f"{k}.{f}").alias(f"{k}_{f}") for k in "ab" for f in ("m", "v", "det")]))
