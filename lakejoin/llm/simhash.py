@@ -77,7 +77,8 @@ def assign(prints: DataFrame) -> DataFrame:
     grouped = cut(distinct.join(roots, "fp"))
     named = grouped.groupBy("root").agg(F.min("first").alias("component_id"))
     linked = grouped.select("fp", "root").join(named, "root").select("fp", F.col("component_id").alias("linked"))
-    by_print = distinct.join(linked, "fp", "left").select("fp", F.coalesce("linked", "first").alias("component_id"))
+    by_print = stored(distinct.join(linked, "fp", "left").select("fp", F.coalesce("linked", "first").alias("component_id")))
+    # both sides come from files, so a fingerprint with very many copies can be split over tasks
     return prints.join(by_print, "fp").select("doc_id", "fp", "component_id")
 
 
