@@ -119,7 +119,7 @@ class Cache(dict):
 
     __slots__ = ("fn", "most")
 
-    def __init__(self, fn, most: int = 400_000):
+    def __init__(self, fn, most: int = 120_000):
         super().__init__()
         self.fn, self.most = fn, most
 

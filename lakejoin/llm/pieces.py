@@ -106,8 +106,8 @@ class Pieces:
         self.unknown = -float(size) - 10.0
         self.fast = not any(g[1] == MARK and g[0] != MARK or "\n" in g for g in self.glue)
         self.mark = (np.array([self.byte[b] for b in MARK.encode()], "<i4").tobytes(), self.unknown * 3, float("inf"))
-        self.part = Recent(self._part, 150_000)
-        self.chunk = Recent(self._chunk, 300_000)
+        self.part = Recent(self._part, 100_000)
+        self.chunk = Recent(self._chunk, 200_000)
 
     def lattice(self, s: str) -> tuple[list[list[tuple[int, float, tuple[int, ...]]]], list[float]]:
         """For each place the edges that end there (start, score, ids), and the best score from the start to it."""
