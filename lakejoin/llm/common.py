@@ -15,7 +15,9 @@ import tempfile
 import uuid
 from collections.abc import Callable
 
+import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -129,3 +131,17 @@ class Cache(dict):
         value = self[key] = self.fn(key)
         return value
 
+
+_codes = Cache(lambda w: xxhash.xxh64_intdigest(w, 7))
+
+
+def run_codes(words: list[bytes], k: int) -> np.ndarray:
+    """A 64-bit code of each run of ``k`` successive words."""
+    code = np.array([_codes[w] for w in words], np.uint64)
+    n = len(words) - k + 1
+    h = np.zeros(n, np.uint64)
+    for i in range(k):
+        h += code[i : i + n] * np.uint64(pow(0x9E3779B97F4A7C15, i + 1, 1 << 64))
+    h ^= h >> np.uint64(32)
+    h *= np.uint64(0xC2B2AE3D27D4EB4F)
+    return h ^ (h >> np.uint64(29))

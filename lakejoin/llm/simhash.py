@@ -20,6 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from . import nearcopies
 from .common import cut, documents, map_rows, stored
 from .components import components
 
@@ -70,10 +71,10 @@ def links(distinct: DataFrame) -> DataFrame:
     return pairs.union(stars.select(F.explode("near").alias("a"), "b").where("a <> b"))
 
 
-def assign(prints: DataFrame) -> DataFrame:
-    """(doc_id, fp, component_id) from (doc_id, fp)."""
+def assign(prints: DataFrame, edges: DataFrame | None = None) -> DataFrame:
+    """(doc_id, fp, component_id) from (doc_id, fp) and links (a, b) of fp; without links, those of near fingerprints."""
     distinct = prints.groupBy("fp").agg(F.min("doc_id").alias("first"))
-    roots = components(links(distinct)).select(F.col("node").alias("fp"), "root")
+    roots = components(links(distinct) if edges is None else edges).select(F.col("node").alias("fp"), "root")
     grouped = cut(distinct.join(roots, "fp"))
     named = grouped.groupBy("root").agg(F.min("first").alias("component_id"))
     linked = grouped.select("fp", "root").join(named, "root").select("fp", F.col("component_id").alias("linked"))
@@ -90,9 +91,13 @@ def op2_simhash_components(spark: SparkSession, sf_dir: str) -> DataFrame:
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keep the document with the smallest id of each component; all columns pass through.
 
+    Documents are linked where their five-word shingles have a similarity of 0.8 (see ``nearcopies``); the fingerprints
+    and the radius of op2 hold for its query alone, since two bits would miss most of such copies.
     Rows that share a doc_id are copies or versions of one document: one row stays. Rows without an id stay.
     """
-    ids = stored(assign(stored(fingerprints(docs))).select("doc_id", "component_id"))
+    named = docs.where("doc_id is not null")
+    found = stored(nearcopies.sets(named))
+    ids = stored(assign(found.select("doc_id", "fp"), nearcopies.links(named, found)).select("doc_id", "component_id"))
     gone = stored(ids.where("doc_id <> component_id").select("doc_id").distinct())
     twice = stored(ids.where("doc_id = component_id").groupBy("doc_id").count().where("count > 1").select("doc_id"))
     kept = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
