@@ -58,7 +58,7 @@ class Recent(dict):
 def combined(parts: list[list[tuple[float, bytes]]], n: int) -> list[tuple[float, list[int]]]:
     """N best sums of one choice from each part: (score, choice of each part)."""
     best = sum(p[0][0] for p in parts)
-    loose = sorted((p[0][0] - p[1][0], i) for i, p in enumerate(parts) if len(p) > 1)[: n - 1]
+    loose = heapq.nsmallest(n - 1, [(p[0][0] - p[1][0], i) for i, p in enumerate(parts) if len(p) > 1])
     at = [i for _, i in loose]
     loss = lambda pick: sum(parts[i][0][0] - parts[i][k][0] for i, k in zip(at, pick))
     start = (0,) * len(at)
@@ -105,7 +105,7 @@ class Pieces:
         self.glue = {a + b for p in self.score for a, b in zip(p, p[1:])}
         self.unknown = -float(size) - 10.0
         self.fast = not any(g[1] == MARK and g[0] != MARK or "\n" in g for g in self.glue)
-        self.mark = (np.array([self.byte[b] for b in MARK.encode()], "<i4").tobytes(), self.unknown * 3, float("inf"))
+        self.mark = [(self.unknown * 3, np.array([self.byte[b] for b in MARK.encode()], "<i4").tobytes())]
         self.part = Recent(self._part, 100_000)
         self.chunk = Recent(self._chunk, 200_000)
 
@@ -156,25 +156,9 @@ class Pieces:
                 push(agenda, (-(done + w + ahead[i]), turn, i, done + w, (ids_, path)))
         return out
 
-    def _part(self, s: str) -> tuple[bytes, float, float]:
-        """(ids of the best, its score, loss of the second) of a part.
-
-        The search for the first path alone: the heuristic is exact, so the next node of the best path is the one of
-        greatest estimate, and the greatest estimate left on the agenda is the second path's score.
-        """
-        edges, ahead = self.lattice(s)
-        at, done, second, ids = len(s), 0.0, float("-inf"), ()
-        while at:
-            best = float("-inf")
-            for edge in edges[at]:
-                estimate = done + edge[1] + ahead[edge[0]]
-                if estimate > best:
-                    second = max(second, best)
-                    best, take = estimate, edge
-                elif estimate > second:
-                    second = estimate
-            at, done, ids = take[0], done + take[1], take[2] + ids
-        return array("i", ids).tobytes(), done, done - second
+    def _part(self, s: str) -> list[tuple[float, bytes]]:
+        """The N best (score, ids) of a part."""
+        return [(score, array("i", ids).tobytes()) for score, ids in self.search(s, self.nbest)]
 
     def _cut(self, s: str) -> list[str]:
         """Parts that no piece crosses; a run of letters is left whole, which changes nothing but the work."""
@@ -183,12 +167,13 @@ class Pieces:
         cuts = [0, *[i for i in range(1, len(s)) if s[i - 1 : i + 1] not in self.glue], len(s)]
         return [s[a:b] for a, b in zip(cuts, cuts[1:])]
 
-    def _chunk(self, s: str) -> tuple[bytes, float, float]:
+    def _chunk(self, s: str) -> list[tuple[float, bytes]]:
         parts = self._cut(s)
-        if len(parts) == 1:
-            return self.part[s]
-        got = [self.part[p] for p in parts]
-        return b"".join([g[0] for g in got]), sum([g[1] for g in got]), min([g[2] for g in got])
+        return self.part[s] if len(parts) == 1 else self._joined([self.part[p] for p in parts])
+
+    def _joined(self, parts: list[list[tuple[float, bytes]]]) -> list[tuple[float, bytes]]:
+        """The N best (score, ids) of parts in a row."""
+        return [(score, b"".join([p[k][1] for p, k in zip(parts, pick)])) for score, pick in combined(parts, self.nbest)]
 
     def runs(self, text: str) -> list[str | None]:
         """Chunks of a text in order; None stands for a mark in the text itself."""
@@ -200,14 +185,17 @@ class Pieces:
             out += _FAST.findall(s) if self.fast else [s] if s else []
         return out
 
-    def encode(self, text: str | None) -> tuple[bytes, float, float]:
-        """(ids as little-endian int32, score, score of the second best; -inf if there is none) of a text."""
+    def best(self, text: str | None) -> list[tuple[float, bytes]]:
+        """The N best (score, ids as little-endian int32) of a text; fewer where it has fewer segmentations."""
         if not text:
-            return b"", 0.0, float("-inf")
+            return [(0.0, b"")]
         chunk = self.chunk
-        got = [self.mark if c is None else chunk[c] for c in self.runs(text)]
-        score = float(sum([e[1] for e in got]))
-        return b"".join([e[0] for e in got]), score, score - min([e[2] for e in got])
+        return [(float(score), ids) for score, ids in self._joined([self.mark if c is None else chunk[c] for c in self.runs(text)])]
+
+    def encode(self, text: str | None) -> tuple[bytes, float, float]:
+        """(ids as little-endian int32, score, score of the second best; -inf if there is none) of a text."""
+        got = self.best(text)
+        return got[0][1], got[0][0], got[1][0] if len(got) > 1 else float("-inf")
 
     def encode_nbest(self, text: str | None) -> list[tuple[float, list[int]]]:
         """The N best (score, ids) of a whole text."""
@@ -215,7 +203,7 @@ class Pieces:
             return [(0.0, [])]
         parts: list = []
         for c in self.runs(text):
-            parts += [[(self.mark[1], tuple(np.frombuffer(self.mark[0], "<i4").tolist()))]] if c is None else [self.search(p, self.nbest) for p in self._cut(c)]
+            parts += [[(self.mark[0][0], tuple(np.frombuffer(self.mark[0][1], "<i4").tolist()))]] if c is None else [self.search(p, self.nbest) for p in self._cut(c)]
         return [(score, [i for p, k in zip(parts, pick) for i in p[k][1]]) for score, pick in combined(parts, self.nbest)]
 
     def decode(self, ids) -> str:
@@ -238,18 +226,28 @@ def _model(path: str) -> bytes:
         return f.read()
 
 
+def ids_hash(ids: bytes) -> str:
+    return f"{xxhash.xxh64_intdigest(ids):016x}"
+
+
 def encoded(docs: DataFrame, path: str = MODEL, nbest: int = NBEST) -> DataFrame:
-    """(doc_id, pieces, score): the ids of the best segmentation of every whole text."""
+    """(doc_id, pieces, score, scores, ids_hashes): the best segmentation of every whole text, and the scores and hashes of
+    the ids of all N best ones, best first."""
     sent = docs.sparkSession.sparkContext.broadcast(_model(path))
 
     def rows(part: dict) -> dict:
         coder = ready(sent.value, nbest)
-        got = [coder.encode(t) for t in part["text"]]
-        ends = np.cumsum([0, *(len(g[0]) // 4 for g in got)], dtype=np.int32)
-        ids = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.frombuffer(b"".join(g[0] for g in got), "<i4")))
-        return {"doc_id": part["doc_id"], "pieces": ids, "score": [g[1] for g in got]}
+        first, scores, hashes = [], [], []
+        for t in part["text"]:
+            got = coder.best(t)
+            first.append(got[0][1])
+            scores.append([g[0] for g in got])
+            hashes.append([ids_hash(g[1]) for g in got])
+        ends = np.cumsum([0, *(len(x) // 4 for x in first)], dtype=np.int32)
+        ids = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.frombuffer(b"".join(first), "<i4")))
+        return {"doc_id": part["doc_id"], "pieces": ids, "score": [x[0] for x in scores], "scores": scores, "ids_hashes": hashes}
 
-    return map_rows(docs.select("doc_id", "text"), rows, "doc_id bigint, pieces array<int>, score double")
+    return map_rows(docs.select("doc_id", "text"), rows, "doc_id bigint, pieces array<int>, score double, scores array<double>, ids_hashes array<string>")
 
 
 def decoded(pieces: DataFrame, path: str = MODEL) -> DataFrame:
@@ -264,23 +262,25 @@ def decoded(pieces: DataFrame, path: str = MODEL) -> DataFrame:
 
 
 def op6_piece_nbest(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Of every whole text: pieces, best and second-best score, hash of the ids, whether decoding returns the text."""
+    """Of every whole text and its two best segmentations: pieces, score and hash of the ids of each, and whether decoding
+    each of them returns the text."""
     sent = spark.sparkContext.broadcast(_model(MODEL))
 
     def rows(part: dict) -> dict:
         coder = ready(sent.value, NBEST)
-        out: dict = {n: [] for n in ("n_pieces", "score", "second_score", "ids_hash", "round_trip")}
+        out: dict = {n: [] for n in ("n_pieces", "score", "second_score", "ids_hash", "second_n_pieces", "second_ids_hash", "round_trip")}
         for t in part["text"]:
-            ids, score, second = coder.encode(t)
-            back = coder.decode(np.frombuffer(ids, "<i4").tolist())
-            row = (len(ids) // 4, score, second if second > float("-inf") else None, f"{xxhash.xxh64_intdigest(ids):016x}", back == (t or ""))
+            got = coder.best(t)
+            back = all(coder.decode(np.frombuffer(ids, "<i4").tolist()) == (t or "") for _, ids in got)
+            (score, ids), (second, other) = got[0], got[1] if len(got) > 1 else (None, None)
+            row = (len(ids) // 4, score, second, ids_hash(ids), None if other is None else len(other) // 4, None if other is None else ids_hash(other), back)
             for n, v in zip(out, row):
                 out[n].append(v)
         return {"doc_id": part["doc_id"]} | out
 
-    return map_rows(documents(spark, sf_dir).select("doc_id", "text"), rows, "doc_id bigint, n_pieces bigint, score double, second_score double, ids_hash string, round_trip boolean")
+    return map_rows(documents(spark, sf_dir).select("doc_id", "text"), rows, "doc_id bigint, n_pieces bigint, score double, second_score double, ids_hash string, second_n_pieces bigint, second_ids_hash string, round_trip boolean")
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """(doc_id, pieces, score) of every document, in the order of the rows."""
+    """The segmentations (see ``encoded``) of every document, in the order of the rows."""
     return encoded(docs)

@@ -182,3 +182,16 @@ def test_pipeline_stages(spark, sf, docs):
             good = marks.where("quality = 1").count()
             assert {r.quality: r["count"] for r in kept}[1] >= 0.95 * good
     assert set(now.columns) == {"doc_id", "pieces", "score"}
+
+
+def test_queries_give_all_segmentations(spark, coder):
+    """What op6 and the stage return is the agenda search's N best, whole texts included."""
+    texts = ["The cat sat on the mats.", "hello ▁ world\nagain", "a", "", None]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    for r in pieces.encoded(df, nbest=4).collect():
+        want = coder.encode_nbest(texts[r.doc_id])
+        assert r.scores == pytest.approx([s for s, _ in want]) and len(set(r.ids_hashes)) == len(want)
+        got = coder.best(texts[r.doc_id])
+        assert [pieces.ids_hash(ids) for _, ids in got] == r.ids_hashes
+        assert all(coder.decode(np.frombuffer(ids, "<i4").tolist()) == (texts[r.doc_id] or "") for _, ids in got)
+    assert len(coder.best(texts[0])) == 4
