@@ -59,6 +59,12 @@ def _apply(base, rows: DataFrame) -> DataFrame:
     return VectorAssembler(inputCols=["b0", "b1", "b2"], outputCol="x_meta").transform(rows)
 
 
+def references(freq: DataFrame) -> list[str]:
+    """Datasets that have something to tell apart: two attributes or more."""
+    found = freq.where(F.col("value").isNotNull()).groupBy("dataset").agg(F.count_distinct("attr").alias("n")).where("n > 1")
+    return sorted(r["dataset"] for r in found.select("dataset").collect())
+
+
 def fit(freq: DataFrame, dataset: str) -> Matcher | None:
     """Trained on the distinct values of the reference's attributes; None if it has fewer than two."""
     attrs = sorted(r["attr"] for r in freq.where((F.col("dataset") == dataset) & F.col("value").isNotNull()).select("attr").distinct().collect())
