@@ -77,11 +77,11 @@ class Context:
 
     @cached_property
     def model(self) -> chain.ChainModel:
-        return chain.fit_chain(self.train)
+        return chain.fit_chain(self.train, chain.BEST)
 
     @cached_property
     def unchained(self) -> chain.ChainModel:
-        return chain.fit_chain(self.train, chained=False)
+        return chain.fit_chain(self.train, chain.BEST, chained=False)
 
     @cached_property
     def predicted(self) -> DataFrame:

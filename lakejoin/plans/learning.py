@@ -180,7 +180,7 @@ def compared(spark, sf_dir):
         "chain": c.predicted.select(*pairs.ID, "pred_class"),
         "chain without rules": rules_off,
         "forests without chain": discover.predict(c.test, c.unchained).select(*pairs.ID, "pred_class"),
-        "one multiclass forest": chain.predict_multiclass(chain.fit_multiclass(c.train), c.test).select(*pairs.ID, "pred_class"),
+        "one multiclass forest": chain.predict_multiclass(chain.fit_multiclass(c.train, chain.BEST[0]), c.test).select(*pairs.ID, "pred_class"),
         "hash": three(size_lsh.all_hits(lsh_test(c), 0.5)),
         "names": three(baselines.by_name(names, names)),
         "jaccard at 0.5": three(c.truth.where("jaccard >= 0.5")),
