@@ -2,8 +2,9 @@
 
 Classes are the attributes of the reference. Base learners: naive Bayes on character 3-grams, naive Bayes on words, and a
 logistic model on shape; a logistic meta learner stacks their out-of-fold probabilities. A candidate column takes the
-mean probability of its values and is matched to its best attribute whenever that beats chance, which is what makes such
+mean probability of all its values and is matched to its best attribute whenever that beats chance, which is what makes such
 matchers eager. A reference with one string attribute has nothing to tell apart and gives no match.
+A learner on the 3-grams of attribute names is left out.
 """
 
 from __future__ import annotations
@@ -24,7 +25,7 @@ VALUES, BUCKETS, FOLDS = 1_000, 1 << 12, 5
 def _featured(values: DataFrame) -> DataFrame:
     n = normalize.lowered(F.col("value"))
     rows = values.withColumn("n", n).withColumn("words", normalize.tokens(F.col("n")))
-    padded = F.concat(F.lit("#"), F.substring("n", 1, 200), F.lit("#"))
+    padded = F.concat(F.lit("#"), F.col("n"), F.lit("#"))
     grams = F.transform(F.sequence(F.lit(1), F.greatest(F.length(padded) - 2, F.lit(1))), lambda i: F.substring(padded, i, F.lit(3)))
     kinds = [F.when(valuetypes.broad_type(F.col("n")) == t, 1.0).otherwise(0.0).alias(f"k{i}") for i, t in enumerate(valuetypes.BROAD)]
     rows = rows.select("*", grams.alias("grams"), F.log1p(F.length("n")).alias("len"), F.log1p(F.size("words")).alias("count"), *kinds)
@@ -44,8 +45,7 @@ class Matcher:
 
     def match(self, freq: DataFrame, dataset: str) -> DataFrame:
         """(ref_dataset, ref_attr, cand_dataset, cand_attr, probability) of proposed matches over the lake's columns."""
-        order = Window.partitionBy("dataset", "attr").orderBy(F.md5("value"))
-        values = freq.where((F.col("dataset") != dataset) & F.col("value").isNotNull()).withColumn("i", F.row_number().over(order)).where(F.col("i") <= VALUES)
+        values = freq.where((F.col("dataset") != dataset) & F.col("value").isNotNull())
         rows = _apply(self.base, _featured(values.select("dataset", "attr", "value")))
         means = self.meta.transform(rows).select("dataset", "attr", vector_to_array("m").alias("p")).groupBy("dataset", "attr").agg(F.array(*[F.avg(F.col("p")[i]) for i in range(len(self.attrs))]).alias("p"))
         best = F.array_max("p")
