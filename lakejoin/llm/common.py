@@ -5,7 +5,10 @@ Conventions that hold for every operator here:
 * a null text counts as the empty text; rows are never dropped because of it;
 * a null ``doc_id`` is an id like any other (it hashes and groups as null);
 * only the columns an operator names are read, so extra columns, whatever they
-  are called, neither clash nor cost anything;
+  are called, neither clash nor cost anything; a stage of the pipeline hands all
+  columns on and takes names of its own that the table doesn't have (``fresh``);
+* a text of any length is read whole; Python tasks hold ``STEP`` rows at a time and
+  work in time that grows in proportion to a text's length (times its logarithm, where sorted);
 * an empty input gives an empty result of the same schema.
 """
 
@@ -53,6 +56,11 @@ def labels(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/labels.parquet")
 
 
+def tokenizer_file(spark: SparkSession, name: str) -> str:
+    """Path of a given vocabulary file, under the folder that the setting ``spark.lakejoin.tokenizers`` names."""
+    return f"{spark.conf.get('spark.lakejoin.tokenizers', '/opt/tokenizers')}/{name}"
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The checkpoint folder of the session; only where none is set (tests, one machine) a temporary one."""
     sc = spark.sparkContext
@@ -93,6 +101,29 @@ def map_rows(df: DataFrame, fn: Callable[[dict], dict], ddl: str, step: int = ST
     return df.mapInArrow(run, ddl)
 
 
+def fresh(df: DataFrame, name: str) -> str:
+    """``name``, lengthened until no column of ``df`` has it (letter case aside)."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
+def filtered(df: DataFrame, column: str, keep: Callable[[list], list], step: int = STEP) -> DataFrame:
+    """The rows for whose ``column`` values ``keep`` says True; whole rows pass through in slices, whatever their columns."""
+    ship(df.sparkSession)
+    at = df.columns.index(column)
+
+    def run(batches):
+        for batch in batches:
+            for i in range(0, batch.num_rows, step):
+                part = batch.slice(i, step)
+                yield part.filter(pa.array(keep(part.column(at).to_pylist()), pa.bool_()))
+
+    plain = df.toDF(*[f"c{i}" for i in range(len(df.columns))])  # mapInArrow can't name columns with dots
+    return plain.mapInArrow(run, plain.schema).toDF(*df.columns)
+
+
 def crc_mod(doc_id: Column, n: int) -> Column:
     """crc32 of the id written as text, modulo ``n``; a null id falls in class 0."""
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % n, F.lit(0))

@@ -16,11 +16,10 @@ import re
 import zlib
 
 import numpy as np
-import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Cache, crc_mod, documents, labelled, labels, map_rows
+from .common import Cache, crc_mod, documents, filtered, labelled, labels, map_rows
 
 BUCKETS = 1 << 18
 #: Most labelled rows a fit uses.
@@ -190,15 +189,6 @@ def op10_nbsvm_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keep the documents predicted good; all columns pass through."""
+    """Keep the documents predicted good; all columns pass through, whatever they are called."""
     model = train(docs, labels(spark, sf_dir))
-    names = docs.columns
-    return docs.withColumn("__score", _score_udf(model)(F.col("text"))).where(F.col("__score") >= 0.5).select(*[F.col(f"`{n}`") for n in names])
-
-
-def _score_udf(model: Model):
-    @F.pandas_udf("double")
-    def of(text: pd.Series) -> pd.Series:
-        return pd.Series([model.score(indicators(x)) for x in text], dtype="float64")
-
-    return of
+    return filtered(docs, "text", lambda texts: [model.score(indicators(x)) >= 0.5 for x in texts])

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import nearcopies
-from .common import cut, documents, map_rows, stored
+from .common import cut, documents, fresh, map_rows, stored
 from .components import components
 
 SEGMENTS, WIDTH, RADIUS, SEED = 16, 4, 2, 42
@@ -100,9 +100,11 @@ def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ids = stored(assign(found.select("doc_id", "fp"), nearcopies.links(named, found)).select("doc_id", "component_id"))
     gone = stored(ids.where("doc_id <> component_id").select("doc_id").distinct())
     twice = stored(ids.where("doc_id = component_id").groupBy("doc_id").count().where("count > 1").select("doc_id"))
-    kept = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    names = [F.col(f"`{c}`") for c in docs.columns]
+    kept = docs.join(gone, "doc_id", "left_anti").select(*names)
     if twice.isEmpty():
         return kept
+    n = fresh(docs, "nth")
     order = Window.partitionBy("doc_id").orderBy(F.md5(F.coalesce(F.col("text"), F.lit(""))), *[F.col(f"`{c}`").cast("string") for c in docs.columns if c not in ("doc_id", "text")])
-    one = kept.join(twice, "doc_id", "left_semi").withColumn("__n", F.row_number().over(order)).where("__n = 1").select(*docs.columns)
-    return kept.join(twice, "doc_id", "left_anti").select(*docs.columns).unionByName(one)
+    one = kept.join(twice, "doc_id", "left_semi").withColumn(n, F.row_number().over(order)).where(F.col(n) == 1).drop(n)
+    return kept.join(twice, "doc_id", "left_anti").select(*names).unionByName(one.select(*names))
