@@ -14,6 +14,8 @@ Conventions that hold for every operator here:
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import tempfile
 import uuid
 from collections.abc import Callable
@@ -30,8 +32,8 @@ from ..session import ship
 #: A word: a run of characters other than the six ASCII blanks. ``bytes.split()`` cuts UTF-8 text alike.
 WORD = r"[^\x20\x09-\x0D]+"
 
-#: Rows handled at once inside a Python task, so that memory doesn't follow the Arrow batch size.
-STEP = 256
+#: Rows handled at once inside a Python task, and bytes of a slice of average rows, so that memory doesn't follow the Arrow batch size.
+STEP, SLICE = 256, 8 << 20
 
 _ARROW = {
     "bigint": pa.int64(),
@@ -79,7 +81,31 @@ def stored(df: DataFrame) -> DataFrame:
     """End the lineage of a large frame: compressed Parquet in the shared folder, read back."""
     path = f"{shared_dir(df.sparkSession)}/table-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return df.sparkSession.read.parquet(path)
+    out = df.sparkSession.read.parquet(path)
+    out.stored_in = path
+    return out
+
+
+def dropped(*tables: DataFrame) -> None:
+    """Delete tables of ``stored`` that nothing reads any more; disk then holds no more than the step at hand needs."""
+    for t in tables:
+        spark = t.sparkSession
+        path = spark._jvm.org.apache.hadoop.fs.Path(t.stored_in)
+        path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+
+
+_caches: list = []
+
+
+def released() -> None:
+    """At the end of a task: empty what Python tasks remember and give the memory back, since workers live on for other stages."""
+    for cache in _caches:
+        cache.clear()
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
 
 
 def arrow_schema(ddl: str) -> pa.Schema:
@@ -94,9 +120,11 @@ def map_rows(df: DataFrame, fn: Callable[[dict], dict], ddl: str, step: int = ST
 
     def run(batches):
         for batch in batches:
-            for at in range(0, batch.num_rows, step):
-                out = fn(batch.slice(at, step).to_pydict())
+            few = max(1, min(step, SLICE * batch.num_rows // max(1, batch.nbytes)))
+            for at in range(0, batch.num_rows, few):
+                out = fn(batch.slice(at, few).to_pydict())
                 yield pa.RecordBatch.from_pydict({n: out[n] for n in schema.names}, schema=schema)
+        released()
 
     return df.mapInArrow(run, ddl)
 
@@ -116,9 +144,11 @@ def filtered(df: DataFrame, column: str, keep: Callable[[list], list], step: int
 
     def run(batches):
         for batch in batches:
-            for i in range(0, batch.num_rows, step):
-                part = batch.slice(i, step)
+            few = max(1, min(step, SLICE * batch.num_rows // max(1, batch.nbytes)))
+            for i in range(0, batch.num_rows, few):
+                part = batch.slice(i, few)
                 yield part.filter(pa.array(keep(part.column(at).to_pylist()), pa.bool_()))
+        released()
 
     plain = df.toDF(*[f"c{i}" for i in range(len(df.columns))])  # mapInArrow can't name columns with dots
     return plain.mapInArrow(run, plain.schema).toDF(*df.columns)
@@ -148,13 +178,15 @@ def labelled(docs: DataFrame, marks: DataFrame, column: str, learn: Column, limi
 
 
 class Cache(dict):
-    """``cache[key]`` computes a missing value with ``fn``; it empties itself at ``most`` keys, so memory is bounded."""
+    """``cache[key]`` computes a missing value with ``fn``; it empties itself at ``most`` keys, and at the end of each task, so
+    memory is bounded."""
 
     __slots__ = ("fn", "most")
 
-    def __init__(self, fn, most: int = 120_000):
+    def __init__(self, fn, most: int = 100_000):
         super().__init__()
         self.fn, self.most = fn, most
+        _caches.append(self)
 
     def __missing__(self, key):
         if len(self) >= self.most:

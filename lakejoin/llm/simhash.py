@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import nearcopies
-from .common import cut, documents, fresh, map_rows, stored
+from .common import cut, documents, dropped, fresh, map_rows, stored
 from .components import components
 
 SEGMENTS, WIDTH, RADIUS, SEED = 16, 4, 2, 42
@@ -97,9 +97,12 @@ def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """
     named = docs.where("doc_id is not null")
     found = stored(nearcopies.sets(named))
-    ids = stored(assign(found.select("doc_id", "fp"), nearcopies.links(named, found)).select("doc_id", "component_id"))
+    edges = nearcopies.links(named, found)
+    ids = stored(assign(found.select("doc_id", "fp"), edges).select("doc_id", "component_id"))
+    dropped(found, edges)
     gone = stored(ids.where("doc_id <> component_id").select("doc_id").distinct())
     twice = stored(ids.where("doc_id = component_id").groupBy("doc_id").count().where("count > 1").select("doc_id"))
+    dropped(ids)
     names = [F.col(f"`{c}`") for c in docs.columns]
     kept = docs.join(gone, "doc_id", "left_anti").select(*names)
     if twice.isEmpty():

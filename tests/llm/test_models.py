@@ -112,10 +112,10 @@ def test_mcd_resists_contamination(spark):
     cov = np.full((6, 6), 0.3) + np.eye(6) * 0.7
     clean = rng.multivariate_normal(np.zeros(6), cov, 800)
     bad = rng.normal(8, 0.5, size=(200, 6))
-    rows = [("g", *map(float, r)) for r in np.vstack([clean, bad])]
-    df = spark.createDataFrame(rows, "g string, " + ", ".join(f"x{j} double" for j in range(6)))
-    e = outliers.estimates(df).first()
-    assert np.abs(np.array(e.e_m)).max() < 0.25 and np.abs(np.array(rows)[:, 1:].astype(float).mean(0)).min() > 1
+    rows = [("g", "w", *map(float, r)) for r in np.vstack([clean, bad])]
+    df = spark.createDataFrame(rows, "own string, wide string, " + ", ".join(f"x{j} double" for j in range(6)))
+    e = outliers.estimates(df).where("g = 'g'").first()
+    assert np.abs(np.array(e.e_m)).max() < 0.25 and np.abs(np.array(rows)[:, 2:].astype(float).mean(0)).min() > 1
     d = np.einsum("ni,ij,nj->n", np.vstack([clean, bad]) - e.e_m, np.array(e.e_v).reshape(6, 6), np.vstack([clean, bad]) - e.e_m) * e.scale
     assert (d[800:] > outliers.chi_square(outliers.LEVEL)).all() and (d[:800] > outliers.chi_square(outliers.LEVEL)).mean() < 0.02
 
@@ -126,3 +126,77 @@ def test_outliers_on_odd_and_whole_tables(spark, odd, nothing, sf):
     whole = outliers.op1_robust_outliers(spark, "/root/testdata/sf0.01").join(spark.read.parquet("/root/testdata/sf0.01/labels.parquet"), "doc_id").where("not base_failed")
     assert whole.where("quality = 1").agg(F.avg(F.col("kept").cast("double"))).first()[0] > 0.97
     assert whole.where("quality = 0").agg(F.avg(F.col("kept").cast("double"))).first()[0] < 0.3
+
+
+def brute_kept(rows):
+    """Verdicts of rows (own, wide, vector) by plain numpy: the same rule, one group at a time."""
+    P, o = 6, outliers
+    x = np.array([r[2] for r in rows])
+    names = {"all": (None, np.arange(len(rows)))}
+    for own, wide, _ in rows:
+        names.setdefault(wide, ("all", np.flatnonzero([r[1] == wide for r in rows])))
+        names.setdefault(own, (wide, np.flatnonzero([r[0] == own for r in rows])))
+
+    def lean(sums):
+        out = {}
+        for g, (above, _) in names.items():
+            w, s = sums[g]
+            out[g] = s / w if above is None else (s + o.PRIOR * out[above]) / (w + o.PRIOR)
+        return out
+
+    def quantile(bins, share):
+        bins = np.sort(bins)
+        return bins[int(np.ceil(share * len(bins))) - 1]
+
+    binned = lambda d: np.floor(np.log(d + 1e-4) * o.COARSE).astype(int)
+    far = lambda g, m, v: np.einsum("ni,ij,nj->n", x[names[g][1]] - m, v, x[names[g][1]] - m)
+
+    def medians(values):
+        return lean({g: (len(values[g]), len(values[g]) * np.array([(quantile(np.floor(values[g][:, j] * o.FINE), 0.5) + 0.5) / o.FINE for j in range(P)])) for g in names})
+
+    def solve(keep):
+        first = lean({g: (k.sum(), x[names[g][1]][k].sum(0)) for g, k in keep.items()})
+        second = lean({g: (k.sum(), x[names[g][1]][k].T @ x[names[g][1]][k]) for g, k in keep.items()})
+        cov = {g: second[g] - np.outer(first[g], first[g]) + o.FLOOR**2 * np.eye(P) for g in names}
+        return {g: (first[g], np.linalg.inv(cov[g]), np.linalg.slogdet(cov[g])[1]) for g in names}
+
+    mid = medians({g: x[at] for g, (_, at) in names.items()})
+    mad = {g: np.sqrt((1.4826 * v) ** 2 + o.FLOOR**2) for g, v in medians({g: np.abs(x[at] - mid[g]) for g, (_, at) in names.items()}).items()}
+    bent = {g: np.tanh((x[at] - mid[g]) / mad[g]) for g, (_, at) in names.items()}
+    cor = lean({g: (len(b), b.T @ b) for g, b in bent.items()})
+    starts = [{g: (mid[g], np.diag(1 / mad[g] ** 2)) for g in names}, {}]
+    for g in names:
+        d = np.sqrt(np.maximum(np.diag(cor[g]), 1e-6))
+        starts[1][g] = mid[g], np.linalg.inv((0.95 * cor[g] / np.outer(d, d) + 0.05 * np.eye(P)) * np.outer(mad[g], mad[g]))
+    dets = None
+    for _ in range(o.STEPS):
+        for k, state in enumerate(starts):
+            keep = {}
+            for g in names:
+                d = binned(far(g, *state[g][:2]))
+                keep[g] = d <= quantile(d, o.SUBSET)
+            starts[k] = solve(keep)
+        now = [sum(s[g][2] for g in names) for s in starts]
+        if dets is not None and max(abs(a - b) for a, b in zip(now, dets)) <= o.SETTLED * len(names):
+            break
+        dets = now
+    best = {g: starts[0][g][:2] if starts[0][g][2] <= starts[1][g][2] else starts[1][g][:2] for g in names}
+
+    def scaled(state):
+        half = lean({g: (len(names[g][1]), len(names[g][1]) * np.array([np.exp((quantile(binned(far(g, *state[g])), 0.5) + 0.5) / o.COARSE)])) for g in names})
+        return {g: o.chi_square(0.0) / max(half[g][0], o.chi_square(0.0)) for g in names}
+
+    scale = scaled(best)
+    last = {g: v[:2] for g, v in solve({g: far(g, *best[g]) * scale[g] <= o.chi_square(1.96) for g in names}).items()}
+    scale = scaled(last)
+    return [float(np.einsum("i,ij,j", v - last[own][0], last[own][1], v - last[own][0]) * scale[own]) for own, _, v in rows]
+
+
+def test_verdicts_against_plain_numpy(spark, docs):
+    """Distances of every document, groups of one row to the largest, against the same rule without Spark."""
+    few = docs.withColumn("source", F.when(F.col("doc_id") % 97 == 0, F.concat(F.lit("lone"), F.col("doc_id"))).otherwise(F.col("source")))
+    got = outliers.judged(few).where("not base_failed").orderBy("doc_id", "x0").collect()
+    want = brute_kept([(r.own, r.wide, [r[f"x{j}"] for j in range(6)]) for r in got])
+    assert len(got) > 100 and all(r.distance is not None for r in got)
+    assert [r.distance for r in got] == pytest.approx(want, rel=1e-6, abs=1e-9)
+    assert [r.kept for r in got] == [d <= outliers.chi_square(outliers.LEVEL) for d in want]
