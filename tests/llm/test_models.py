@@ -200,3 +200,142 @@ def test_verdicts_against_plain_numpy(spark, docs):
     assert len(got) > 100 and all(r.distance is not None for r in got)
     assert [r.distance for r in got] == pytest.approx(want, rel=1e-6, abs=1e-9)
     assert [r.kept for r in got] == [d <= outliers.chi_square(outliers.LEVEL) for d in want]
+
+
+def test_dictionaries_and_predictions_against_plain_python(spark, docs):
+    """Dictionaries built row by row, and every whole text compressed with each by a compressor of its own."""
+    import struct
+
+    import xxhash
+    import zstandard
+
+    lid = compression_lid
+    model = lid.train(docs, F.col("doc_id") % 3 != 0)
+    texts: dict = {}
+    rows = docs.select("doc_id", "lang", "text").collect()
+    learned = [r for r in rows if r.doc_id % 3 and r.lang is not None and r.text is not None]
+    for r in learned:
+        h = xxhash.xxh64_intdigest(struct.pack("<q", r.doc_id), seed=42)
+        place = (h - (1 << 64) if h >> 63 else h) % (1 << 31)
+        if place < lid.SAMPLE * (1 << 31) / sum(x.lang == r.lang for x in learned):
+            size = lid.EACH // lid.CUTS
+            cuts = [r.text[int(i * (len(r.text) - size) / (lid.CUTS - 1)) :][:size] for i in range(lid.CUTS)]
+            texts.setdefault(r.lang, []).append((place, r.text if len(r.text) <= lid.EACH else "\n".join(cuts)))
+    want = {}
+    for lang, some in texts.items():
+        out, size = [], 0
+        for _, t in sorted(some):
+            piece = t.casefold().encode()
+            if piece and piece not in out and size < lid.DICTIONARY:
+                out.append(piece)
+                size += len(piece) + 1
+        want[lang] = b"\n".join(out)[: lid.DICTIONARY]
+    assert model.contents == want
+    got = {r.doc_id: r for r in lid.predict(docs, model).collect()}
+    for r in rows:
+        if not r.text or not any(c.isalpha() for c in r.text):
+            assert got[r.doc_id].lang_pred == "und"
+            continue
+        sizes = {}
+        for lang, content in sorted(want.items()):
+            d = zstandard.ZstdCompressionDict(content, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+            c = zstandard.ZstdCompressor(level=lid.LEVEL, dict_data=d, write_checksum=False, write_content_size=False, write_dict_id=False)
+            sizes[lang] = len(c.compress(r.text.casefold().encode()))
+        least = sorted(sizes.values())
+        assert sizes[got[r.doc_id].lang_pred] == least[0]
+        assert got[r.doc_id].rejected == ((least[1] - least[0]) / least[1] < lid.NARROW)
+
+
+def test_every_language_is_learned(spark):
+    rows = [(i, f"wort{i % 60}a wort{i % 60}b " * 5, f"l{i % 60}") for i in range(600)]
+    model = compression_lid.train(spark.createDataFrame(rows, "doc_id bigint, text string, lang string"), F.lit(True))
+    assert len(model.contents) == 60
+
+
+def brute_fit(x, y, rounds, depth=3, rate=0.15, bins=64, least=1.0, ridge=1.0):
+    """Boosted trees by trying every cut of every node with plain sums; margins of the rows."""
+    n, m = x.shape
+    edges = [np.unique(np.quantile(x[:, j], np.linspace(0, 1, bins + 1)[1:-1])) for j in range(m)]
+    p = (y.sum() + 0.5) / (n + 1)
+    f = np.full(n, np.log(p / (1 - p)))
+    for _ in range(rounds):
+        q = 1 / (1 + np.exp(-f))
+        g, h = q - y, np.maximum(q * (1 - q), 1e-9)
+        groups = [np.arange(n)]
+        for _ in range(depth):
+            split = []
+            for rows in groups:
+                best, at = 1e-6, None
+                for j in range(m):
+                    top = None
+                    for e in edges[j]:
+                        left = rows[x[rows, j] <= e]
+                        right = rows[x[rows, j] > e]
+                        if h[left].sum() < least or h[right].sum() < least:
+                            continue
+                        gain = g[left].sum() ** 2 / (h[left].sum() + ridge) + g[right].sum() ** 2 / (h[right].sum() + ridge) - g[rows].sum() ** 2 / (h[rows].sum() + ridge)
+                        if top is None or gain > top[0] + 1e-12:
+                            top = gain, j, e
+                    if top is not None and top[0] > best + 1e-12:
+                        best, at = top[0], top
+                split += [rows[x[rows, at[1]] <= at[2]], rows[x[rows, at[1]] > at[2]]] if at else [rows, rows[:0]]
+            groups = split
+        for rows in groups:
+            f[rows] += -rate * g[rows].sum() / (h[rows].sum() + ridge)
+    return f
+
+
+def test_trees_against_trying_every_cut():
+    rng = np.random.default_rng(5)
+    x = np.round(rng.normal(size=(160, 4)), 1)
+    y = (x[:, 0] + 0.5 * x[:, 1] * x[:, 2] + 0.3 * rng.normal(size=160) > 0).astype(float)
+    assert boosting.fit(x, y, rounds=6).margin(x) == pytest.approx(brute_fit(x, y, 6), abs=1e-9)
+
+
+def brute_features(text, lexicon):
+    """The 18 features word by word."""
+    import math
+
+    t = toxicity
+    raw = (text or "").encode()
+    words = raw.lower().split()
+    if not words:
+        return [0.0] * 18
+    kinds, weights, tricked = [], [], 0
+    for w in words:
+        word = w.decode()
+        plain = t._plain(word)
+        best = lambda x: max([lexicon.get(k, 0.0) for k in t._keys(x)] or [0.0])
+        if plain in t.SECOND_PERSON:
+            kinds.append("you")
+            weights.append(0.0)
+        elif best(plain):
+            kinds.append("hit")
+            weights.append(best(plain))
+        elif not plain.isalpha() and t._undone(word) != plain and best(t._undone(word)):
+            kinds.append("hit")
+            weights.append(best(t._undone(word)))
+            tricked += 1
+        else:
+            kinds.append("")
+            weights.append(0.0)
+    n, size, hits, you = len(words), len(raw), [i for i, k in enumerate(kinds) if k == "hit"], [i for i, k in enumerate(kinds) if k == "you"]
+    near = sum(any(abs(i - j) <= t.NEAR for j in you) for i in hits)
+    strong = sum(w >= 3 for w in weights)
+    capitals = sum(65 <= c < 91 for c in raw)
+    letters = max(1, capitals + sum(97 <= c < 123 or c >= 192 for c in raw))
+    signs = sum(33 <= c < 48 or 58 <= c < 65 or 91 <= c < 97 or 123 <= c < 127 for c in raw)
+    return [
+        sum(weights) / n, math.log1p(len(hits)), max(weights), math.log1p(len({words[i] for i in hits})), len(hits) / n,
+        math.log1p(strong), strong / n, len(you) / n, near / n, math.log1p(near), capitals / letters, raw.count(b"!") / size, raw.count(b"?") / size, signs / size,
+        sum(48 <= c < 58 for c in raw) / size, (len(t._ODD.findall(raw)) + tricked) / n, math.log1p(n), size / n,
+    ]
+
+
+def test_toxic_features_word_by_word(spark, docs, sf):
+    marks = spark.read.parquet(f"{sf}/labels.parquet").select("doc_id", F.col("toxic").alias("y"))
+    sample = docs.join(marks, "doc_id").select("doc_id", "text", "y")
+    lexicon = {"moron": 5.0, "stup~": 3.0} | toxicity.learn_lexicon(sample)
+    of = toxicity.Features(lexicon)
+    for r in docs.collect() + [type("R", (), {"text": t})() for t in ("You M0R0N!!", "st.upid? you", "", None)]:
+        assert of(r.text).tolist() == pytest.approx(brute_features(r.text, lexicon))
