@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import curriculum, merkle, rollup
+from . import curriculum, merkle
 from .chaining import op3_chained_passages
 from .compression_lid import op7_compression_lid
 from .curriculum import op5_curriculum_mix
@@ -29,4 +29,4 @@ QUERIES = {
         op10_nbsvm_quality,
     )
 }
-ORACLES: dict[str, str] = {"op5_curriculum_mix": curriculum.ORACLE, "op8_token_rollup": rollup.ORACLE, "op9_merkle_fingerprints": merkle.ORACLE}
+ORACLES: dict[str, str] = {"op5_curriculum_mix": curriculum.ORACLE, "op9_merkle_fingerprints": merkle.ORACLE}

@@ -20,11 +20,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import ship
-from .common import WORD, documents, labels, map_rows, shared_dir, stored
+from .common import documents, labels, map_rows, shared_dir, stored, tokenizer_file
 
 KEYS, SUMS = ("source", "lang", "version"), ("docs", "tokens", "chars")
-#: Tokens of the second version: runs of letters and digits, and single other characters.
-TOKEN = r"[\p{L}\p{N}]+|[^\p{L}\p{N}\x20\x09-\x0D]"
 
 
 def deltas(changes: DataFrame) -> DataFrame:
@@ -70,11 +68,17 @@ class Rollup:
             return False
         fs, staged = self._at(f"staging/{batch}-{uuid.uuid4().hex}")
         deltas(changes).coalesce(1).write.parquet(str(staged))
-        _, final = self._at(f"batches/{batch}")
+        return self._published(fs, staged, self._at(f"batches/{batch}")[1])
+
+    def _published(self, fs, staged, final) -> bool:
+        """Rename a finished folder to its public name; False if another writer was first. Renaming onto a folder that is there nests
+        the one in the other on some file systems, which is undone. The rename has to be atomic: on an object store use
+        a committer or file system that makes it so."""
         fs.mkdirs(final.getParent())
+        nested = self._jvm.org.apache.hadoop.fs.Path(final, staged.getName())
         done = not fs.exists(final) and fs.rename(staged, final)
-        if not done or fs.exists(self._jvm.org.apache.hadoop.fs.Path(final, staged.getName())):  # another writer was first
-            fs.delete(self._jvm.org.apache.hadoop.fs.Path(final, staged.getName()), True)
+        if not done or fs.exists(nested):
+            fs.delete(nested, True)
             fs.delete(staged, True)
             return False
         return True
@@ -95,53 +99,53 @@ class Rollup:
         sums.coalesce(1).write.parquet(f"{staged}/sums")
         self.spark.createDataFrame([(n,) for n in names], "name string").coalesce(1).write.parquet(f"{staged}/names")
         _, final = self._at(f"base/{len(self._names('base')):09d}")
-        fs.mkdirs(final.getParent())
-        if not fs.rename(staged, final):
+        if not self._published(fs, staged, final):
             raise RuntimeError("another compaction came first")
 
 
-def tokenizer_counts(docs: DataFrame, ranks_path: str, pattern: str) -> DataFrame:
-    """(doc_id, tokens) under a byte-pair vocabulary file of ranks; the file reaches the executors with the job."""
+def tokenizer_counts(docs: DataFrame, versions: dict[str, str], pattern: str | None = None, step: int = 64) -> DataFrame:
+    """(doc_id, source, lang, chars, tokens): tokens of every whole text under each version's byte-pair vocabulary, in the order of
+    ``versions`` (name to path of a file of ranks; the files reach the executors with the job). ``pattern`` cuts a text into the
+    words that are encoded apart; by default the one that the given vocabularies are used with."""
     import base64
 
-    with open(ranks_path, "rb") as f:
-        ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
-    sent, ready = docs.sparkSession.sparkContext.broadcast(ranks), {}
+    import public_tokenizers
+
+    tables = []
+    for path in versions.values():
+        with open(path, "rb") as f:
+            tables.append({base64.b64decode(a): int(b) for a, b in map(bytes.split, f)})
+    sent, cut, ready = docs.sparkSession.sparkContext.broadcast(tables), pattern or public_tokenizers.PATTERN, {}
 
     def rows(part: dict) -> dict:
-        if "coder" not in ready:
+        if not ready:
             import tiktoken
 
-            ready["coder"] = tiktoken.Encoding("file", pat_str=pattern, mergeable_ranks=sent.value, special_tokens={})
-        return {"doc_id": part["doc_id"], "tokens": [len(ready["coder"].encode_ordinary(t or "")) for t in part["text"]]}
+            ready["all"] = [tiktoken.Encoding(f"v{i}", pat_str=cut, mergeable_ranks=t, special_tokens={}) for i, t in enumerate(sent.value)]
+        counts = [[len(c.encode_ordinary(t or "")) for c in ready["all"]] for t in part["text"]]
+        return {n: part[n] for n in ("doc_id", "source", "lang")} | {"chars": [len(t or "") for t in part["text"]], "tokens": counts}
+
+    return map_rows(docs.select("doc_id", "source", "lang", "text"), rows, "doc_id bigint, source string, lang string, chars bigint, tokens array<bigint>", step)
 
-    return map_rows(docs.select("doc_id", "text"), rows, "doc_id bigint, tokens bigint")
+
+#: Versions of the query: name and file of ranks.
+VERSIONS = {"bpe-50k": "byte_bpe_50k.tiktoken", "bpe-multi-50k": "byte_bpe_multi_50k.tiktoken"}
 
 
 def op8_token_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Load all documents under two tokenizer versions, withdraw those labelled of low quality, count those labelled
     toxic as empty under the second, and replay every batch: totals by key."""
     ship(spark)
-    text = F.coalesce(F.col("text"), F.lit(""))
-    counted = stored(documents(spark, sf_dir).select("doc_id", "source", "lang", F.regexp_count(text, F.lit(WORD)).alias("words"), F.regexp_count(text, F.lit(TOKEN)).alias("pieces"), F.length(text).alias("n")))
+    counted = stored(tokenizer_counts(documents(spark, sf_dir), {v: tokenizer_file(spark, name) for v, name in VERSIONS.items()}))
     marks = stored(labels(spark, sf_dir).groupBy("doc_id").agg(F.min("quality").alias("quality"), F.max("toxic").alias("toxic")))
-    both = F.explode(F.array(F.struct(F.lit("words-1").alias("version"), F.col("words").alias("tokens")), F.struct(F.lit("pieces-2").alias("version"), F.col("pieces").alias("tokens"))))
-    rows = counted.select("doc_id", "source", "lang", F.col("n").alias("chars"), both.alias("v")).select("doc_id", "source", "lang", "v.version", "v.tokens", "chars", F.lit(0).alias("old_tokens"), F.lit(0).alias("old_chars"))
+    each = F.explode(F.array(*[F.struct(F.lit(v).alias("version"), F.col("tokens")[i].alias("tokens")) for i, v in enumerate(VERSIONS)]))
+    rows = counted.select("doc_id", "source", "lang", "chars", each.alias("v")).select("doc_id", "source", "lang", "v.version", "v.tokens", "chars", F.lit(0).alias("old_tokens"), F.lit(0).alias("old_chars"))
     marked = rows.join(marks, "doc_id")
     low = marked.where("quality = 0").withColumn("op", F.lit("delete"))
-    toxic = marked.where("toxic = 1 and quality <> 0 and version = 'pieces-2'").withColumns({"op": F.lit("revise"), "old_tokens": F.col("tokens"), "old_chars": F.col("chars")}).withColumns({"tokens": F.lit(0), "chars": F.lit(0)})
+    second = list(VERSIONS)[-1]
+    toxic = marked.where((F.col("toxic") == 1) & (F.col("quality") != 0) & (F.col("version") == second)).withColumns({"op": F.lit("revise"), "old_tokens": F.col("tokens"), "old_chars": F.col("chars")}).withColumns({"tokens": F.lit(0), "chars": F.lit(0)})
     store = Rollup(spark, f"{shared_dir(spark)}/rollup-{uuid.uuid4().hex}")
     plan = (("load", rows.withColumn("op", F.lit("insert"))), ("withdraw", low), ("blank", toxic))
     for name, changes in (*plan, *plan):
         store.commit(name, changes)
     return store.totals()
-
-
-ORACLE = f"""
-WITH m AS (SELECT doc_id, min(quality) AS quality, max(toxic) AS toxic FROM labels GROUP BY doc_id),
-d AS (SELECT x.doc_id, source, lang, quality, toxic, len(regexp_extract_all(coalesce(text, ''), '{WORD}')) AS words,
-  len(regexp_extract_all(coalesce(text, ''), '{TOKEN}')) AS pieces, length(coalesce(text, '')) AS n FROM documents x LEFT JOIN m ON x.doc_id = m.doc_id),
-v AS (SELECT source, lang, 'words-1' AS version, words AS tokens, n AS chars FROM d WHERE coalesce(quality, 1) <> 0
-  UNION ALL SELECT source, lang, 'pieces-2', CASE WHEN toxic = 1 THEN 0 ELSE pieces END, CASE WHEN toxic = 1 THEN 0 ELSE n END FROM d WHERE coalesce(quality, 1) <> 0)
-SELECT source, lang, version, CAST(count(*) AS BIGINT) AS docs, CAST(sum(tokens) AS BIGINT) AS tokens, CAST(sum(chars) AS BIGINT) AS chars FROM v GROUP BY ALL
-"""
