@@ -16,12 +16,15 @@ import time
 
 sys.path.insert(0, os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
 
-from pyspark.sql import SparkSession  # noqa: E402
+from functools import reduce  # noqa: E402
+
+from pyspark.sql import DataFrame, SparkSession  # noqa: E402
 from pyspark.sql import functions as F  # noqa: E402
 
-from lakejoin.operators import chain, costs, discover, matcher, profile, size_lsh  # noqa: E402
+from lakejoin.operators import chain, costs, discover, matcher, metrics, pairs, profile, quality, scaling, size_lsh, training  # noqa: E402
 from lakejoin.plans.context import context  # noqa: E402
-from lakejoin.sources import lake, store  # noqa: E402
+from lakejoin.session import stored  # noqa: E402
+from lakejoin.sources import derived, lake, store  # noqa: E402
 
 
 def _fit(spark, points: list[tuple[float, float]]) -> dict:
@@ -92,6 +95,59 @@ def query_time(spark, sf_dir, out):
     return out_ | {"attributes": _fit(spark, points)}
 
 
+def query_rows(spark, sf_dir, out):
+    """Seconds of a discovery by attribute over lakes of the same attributes and ever more rows: profiles alone are read."""
+    root, points, model = os.path.dirname(sf_dir.rstrip("/")), {}, None
+    for sf in ("sf0.001", "sf0.01", "sf0.1"):
+        c = context(spark, f"{root}/{sf}")
+        ref, rest = c.strings.where("dataset = 'orders_1996'"), c.strings.where("dataset <> 'orders_1996'")
+        model = model or chain.fit_chain(c.train)
+        costs.timed("", lambda: discover.by_attribute(ref, "buyer", rest, model))  # noqa: B023  warm
+        cells = c.freq.agg(F.sum("cnt")).first()[0]
+        points[sf] = {"cells": cells, "attributes": c.strings.count(), "seconds": costs.timed("", lambda: discover.by_attribute(ref, "buyer", rest, model))["seconds"]}  # noqa: B023
+    return points
+
+
+def baseline_query_time(spark, sf_dir, out):
+    """Seconds of the baselines' discoveries: hash by attribute and by dataset, matcher by dataset (models are built for each query)."""
+    c = context(spark, sf_dir)
+    sig = c.signatures
+    indexed = size_lsh.index(sig)
+    attrs = [r["attr"] for r in c.strings.where("dataset = 'orders_1996'").select("attr").collect()]
+    by_dataset = lambda: reduce(DataFrame.unionByName, [size_lsh.query(sig, indexed, "orders_1996", a) for a in attrs])
+    return {
+        "hash by attribute": costs.timed("", lambda: size_lsh.query(sig, indexed, "orders_1996", "buyer"))["seconds"],
+        "hash by dataset": costs.timed("", by_dataset)["seconds"],
+        "matcher by dataset": costs.timed("", lambda: matcher.fit(c.string_freq, "orders_1996").match(c.string_freq, "orders_1996"))["seconds"],
+    }
+
+
+def ablations(spark, sf_dir, out):
+    """Binary accuracy on the test lake, one thing changed at a time; small forests."""
+    c = context(spark, sf_dir)
+
+    def part(which, signed=False, minmax=False, use_ratio=True):
+        own = c.strings.where(F.expr(derived.split_sql("dataset")) == which)
+        scaled = scaling.apply_minmax(own, scaling.fit_minmax(own)) if minmax else scaling.apply_zscore(own, scaling.fit_zscore(own))
+        truth = c.truth if use_ratio else quality.truth(c.string_freq, use_ratio=False)
+        return stored(training.labelled_pairs(pairs.distances(pairs.candidates(scaled, scaled), signed), truth))
+
+    def judged(test, model, **rules):
+        found = discover.predict(test, model, **rules).join(test.select(*pairs.ID, "label"), list(pairs.ID))
+        row = metrics.binary(metrics.confusion(found)).first()
+        return {k: round(row[k], 4) for k in ("precision", "recall", "f1")}
+
+    train, test = c.train, c.test
+    base = chain.fit_chain(train)
+    out_ = {"as it is": judged(test, base), "rules off": judged(test, base, rule1=False, rule2=False)}
+    out_["chain off"] = judged(test, chain.fit_chain(train, chained=False))
+    out_["out-of-fold chain"] = judged(test, chain.fit_chain(train, out_of_fold=True))
+    out_["no balancing"] = judged(test, chain.fit_chain(train, balance=False))
+    for name, how in {"signed distances": {"signed": True}, "min-max scaling": {"minmax": True}, "truth without the ratio": {"use_ratio": False}}.items():
+        out_[name] = judged(part("test", **how), chain.fit_chain(part("train", **how)))
+    return out_
+
+
 def profile_size(spark, sf_dir, out):
     """Mean bytes of a stored profile."""
     store.write(context(spark, sf_dir).profiles, f"{out}/profiles")
@@ -103,7 +159,7 @@ def tuning(spark, sf_dir, out):
     return {str(k): v for k, v in chain.tune(context(spark, sf_dir).train, {"maxBins": (32, 40), "maxDepth": (5, 8), "numTrees": (8, 16)}, folds=3).items()}
 
 
-EXPERIMENTS = {f.__name__: f for f in (rows_scaling, columns_scaling, pre_time, query_time, profile_size, tuning)}
+EXPERIMENTS = {f.__name__: f for f in (rows_scaling, columns_scaling, pre_time, query_time, query_rows, baseline_query_time, profile_size, tuning, ablations)}
 
 
 def main() -> None:

@@ -1,4 +1,4 @@
-"""SQL functions that Catalyst inlines, pandas cross-checks, and a table function for LSH bands."""
+"""SQL functions that Catalyst inlines, pandas cross-checks, a grouped aggregate and table functions."""
 
 from __future__ import annotations
 
@@ -62,3 +62,32 @@ def bands_udtf():
                 yield i, "-".join(map(str, signature[i * r : (i + 1) * r]))
 
     return Bands
+
+
+def minhash_udaf(spark: SparkSession, m: int = 8):
+    """Grouped aggregate: the first ``m`` minima of the permuted hashes of a group's values; it cross-checks the built-in form."""
+    from hashlib import md5
+
+    from ..operators.size_lsh import PERMUTATIONS, PRIME
+
+    ship(spark)
+    chosen = PERMUTATIONS[:m]
+
+    @F.pandas_udf("array<bigint>")
+    def minima(values: pd.Series) -> list:
+        h = [int(md5(v.encode()).hexdigest()[:15], 16) % PRIME for v in values.dropna().unique()]
+        return [min((a * x + b) % PRIME for x in h) for a, b in chosen] if h else []
+
+    return minima
+
+
+def register_discovery(spark: SparkSession, predicted, name: str = "discover_joins") -> str:
+    """SQL table function ``discover_joins(dataset, attr)`` over predictions of all pairs: best class first. The predictions may be a
+    lazy frame; the two names are pushed down to its reference side."""
+    view = f"{name}_pairs"
+    predicted.createOrReplaceTempView(view)
+    spark.sql(
+        f"CREATE OR REPLACE TEMPORARY FUNCTION {name}(d STRING, a STRING) RETURNS TABLE (cand_dataset STRING, cand_attr STRING, pred_class INT, score DOUBLE) "
+        f"RETURN SELECT cand_dataset, cand_attr, pred_class, score FROM {view} WHERE ref_dataset = d AND ref_attr = a AND pred_class >= 1"
+    )
+    return name

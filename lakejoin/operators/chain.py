@@ -24,6 +24,8 @@ GRID = {"maxBins": (35, 40, 45, 50, 55, 60), "maxDepth": (20, 25, 30), "numTrees
 #: Preset for tests and interactive work.
 SMALL = {c: (32, 8, 16) for c in range(5)}
 SEED = 42
+#: Training rows to a partition.
+ROWS = 100_000
 
 
 def _inputs(cls: int, chained: bool) -> list[str]:
@@ -63,16 +65,24 @@ class ChainModel:
 def fit_forest(sample: DataFrame, cls: int, params: tuple[int, int, int], chained: bool) -> RandomForestClassificationModel:
     """Rows are put in a fixed order and partition first, so the forest doesn't depend on how they came."""
     x = VectorAssembler(inputCols=_inputs(cls, chained), outputCol="_x", handleInvalid="keep").transform(sample)
-    return _forest(params).fit(x.select("_x", "target", "pair_id").repartitionByRange(4, "pair_id").sortWithinPartitions("pair_id"))
+    return _forest(params).fit(_ordered(x))
 
 
-def fit_chain(labelled: DataFrame, params: dict[int, tuple[int, int, int]] = SMALL, chained: bool = True, out_of_fold: bool = False) -> ChainModel:
-    """``out_of_fold`` gives each forest the earlier probabilities of models that haven't seen the row."""
+def _ordered(x: DataFrame) -> DataFrame:
+    """Rows in the order of their ids, in one partition for each ``ROWS`` of them."""
+    parts = max(4, -(-x.count() // ROWS))
+    return x.select("_x", "target", "pair_id").repartitionByRange(parts, "pair_id").sortWithinPartitions("pair_id")
+
+
+def fit_chain(labelled: DataFrame, params: dict[int, tuple[int, int, int]] = SMALL, chained: bool = True, out_of_fold: bool = False, balance: bool = True) -> ChainModel:
+    """``out_of_fold`` gives each forest the earlier probabilities of models that haven't seen the row; ``balance`` off trains each
+    on all rows (an ablation)."""
     counts = {r["label"]: r["n"] for r in class_counts(labelled).collect()}
     now, forests, seconds = labelled, [], []
     for cls in range(5):
         began = time.time()
-        forest = fit_forest(balanced(now, cls, counts), cls, params[cls], chained)
+        sample = balanced(now, cls, counts) if balance else now.withColumn("target", F.when(F.col("label") == cls, 1.0).otherwise(0.0))
+        forest = fit_forest(sample, cls, params[cls], chained)
         forests.append(forest)
         seconds.append(round(time.time() - began, 3))
         if chained and cls < 4:
@@ -94,7 +104,7 @@ def _one(forest: RandomForestClassificationModel, df: DataFrame, cls: int, chain
 def fit_multiclass(labelled: DataFrame, params: tuple[int, int, int] = SMALL[0]):
     """One forest over all five classes, unbalanced: the ablation of the one-vs-rest chain."""
     x = VectorAssembler(inputCols=list(FEATURES), outputCol="_x", handleInvalid="keep").transform(labelled.withColumn("target", F.col("label").cast("double")))
-    return _forest(params).fit(x.select("_x", "target", "pair_id").repartitionByRange(4, "pair_id").sortWithinPartitions("pair_id"))
+    return _forest(params).fit(_ordered(x))
 
 
 def predict_multiclass(model, df: DataFrame) -> DataFrame:

@@ -40,7 +40,9 @@ def name_distances(left: DataFrame, right: DataFrame) -> DataFrame:
 
 
 def pair_id() -> Column:
-    return F.concat_ws("|", *ID)
+    """One string for the four names; bars and backslashes inside a name are escaped, so no two pairs share one."""
+    plain = lambda c: F.replace(F.replace(F.col(c), F.lit("\\"), F.lit("\\\\")), F.lit("|"), F.lit("\\|"))
+    return F.concat_ws("|", *map(plain, ID))
 
 
 def _sides(ref: DataFrame, lake: DataFrame) -> tuple[DataFrame, DataFrame]:

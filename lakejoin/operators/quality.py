@@ -46,29 +46,39 @@ def relation(n_common: Column, same_domain: Column) -> Column:
     return F.when((n_common > 0) & same_domain, "semantic").when(n_common > 0, "syntactic only").when(same_domain, "semantic non-syntactic").otherwise("none")
 
 
-def attribute_ids(freq: DataFrame) -> Column:
-    return F.concat_ws("|", "dataset", "attr")
+#: Owners that one row of pairs is made from; larger sets are cut into blocks that spread over tasks.
+BLOCK = 256
+
+
+def attribute_id() -> Column:
+    """An attribute is named by the two fields, whatever characters they hold."""
+    return F.struct("dataset", "attr")
 
 
 def intersections(freq: DataFrame, max_group: int | None = None) -> DataFrame:
     """(a, b, n_common): for each ordered pair of attributes of different datasets the distinct values they share.
 
-    Values are shuffled once; those with the same owners collapse into one row before any pair is made, so pairs
-    are made from owner sets (few), not from values (many). An owner set has at most one entry an attribute.
-    ``max_group`` leaves out owner sets beyond it, for lakes where values such as Y and N belong to all; the counts
-    are then lower bounds. By default none is left out.
+    ``a`` and ``b`` are structs (dataset, attr). Values are shuffled once; those with the same owners collapse into one row
+    before any pair is made, so pairs are made from owner sets (few), not from values (many). An owner set has at most one
+    entry an attribute; one of more than ``BLOCK`` owners becomes a row for each two blocks of it, dealt out anew, so that
+    no task pairs off all attributes of a lake. ``max_group`` leaves out owner sets beyond it, for lakes where values such as
+    Y and N belong to all; the counts are then lower bounds. By default none is left out.
     """
-    owners = freq.where(F.col("value").isNotNull()).groupBy("value").agg(F.sort_array(F.collect_set(attribute_ids(freq))).alias("owners"))
+    owners = freq.where(F.col("value").isNotNull()).groupBy("value").agg(F.sort_array(F.collect_set(attribute_id())).alias("owners"))
     owners = owners.where(F.size("owners") > 1 if max_group is None else F.size("owners").between(2, max_group))
     sets = owners.groupBy("owners").agg(F.count(F.lit(1)).alias("n"))
-    left = sets.select("owners", "n", F.explode("owners").alias("a"))
-    pairs = left.select("a", F.explode("owners").alias("b"), "n").where(F.substring_index("a", "|", 1) != F.substring_index("b", "|", 1))
-    return pairs.groupBy("a", "b").agg(F.sum("n").alias("n_common"))
+    small = sets.where(F.size("owners") <= BLOCK).select("n", F.col("owners").alias("left"), F.col("owners").alias("right"))
+    block = lambda i: F.slice("owners", i * BLOCK + 1, F.lit(BLOCK))
+    blocks = F.sequence(F.lit(0), F.floor((F.size("owners") - 1) / BLOCK).cast("int"))
+    large = sets.where(F.size("owners") > BLOCK).select("n", "owners", F.explode(blocks).alias("i")).select("n", block(F.col("i")).alias("left"), "owners")
+    large = large.select("n", "left", "owners", F.explode(blocks).alias("j")).select("n", "left", block(F.col("j")).alias("right")).hint("REPARTITION")
+    paired = small.union(large).select("n", "right", F.explode("left").alias("a")).select("a", F.explode("right").alias("b"), "n")
+    return paired.where(F.col("a.dataset") != F.col("b.dataset")).groupBy("a", "b").agg(F.sum("n").alias("n_common"))
 
 
 def cardinalities(freq: DataFrame) -> DataFrame:
     """(id, dataset, attr, card)"""
-    return freq.groupBy("dataset", "attr").agg(F.count("value").alias("card")).select(F.concat_ws("|", "dataset", "attr").alias("id"), "dataset", "attr", "card")
+    return freq.groupBy("dataset", "attr").agg(F.count("value").alias("card")).select(attribute_id().alias("id"), "dataset", "attr", "card")
 
 
 def truth(freq: DataFrame, th: Thresholds = Thresholds(), use_ratio: bool = True) -> DataFrame:
@@ -85,6 +95,10 @@ def truth(freq: DataFrame, th: Thresholds = Thresholds(), use_ratio: bool = True
     return shaped.withColumn("quality", quality_class(F.col("containment"), F.col("ratio"), th, use_ratio))
 
 
+#: Hashes that a theta sketch holds at most, nominally (Spark's default, 2 to the 12th).
+NOMINAL = 4096
+
+
 def sketches(melted: DataFrame) -> DataFrame:
     """(dataset, attr, sketch): theta sketches of the distinct values, a few KB an attribute."""
     return melted.where(F.col("value").isNotNull()).groupBy("dataset", "attr").agg(F.theta_sketch_agg("value").alias("sketch"))

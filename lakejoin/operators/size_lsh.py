@@ -9,10 +9,14 @@ any partition makes a candidate. Signatures are a few KB an attribute; only hash
 from __future__ import annotations
 
 import random
+from functools import lru_cache
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..session import stored
+
 M, PARTS, PRIME = 128, 32, (1 << 31) - 1
 WIDTHS = (1, 2, 4, 8, 16, 32)
 _random = random.Random(20_240_501)
@@ -25,7 +29,7 @@ def value_hash(v: Column) -> Column:
 
 
 def signatures(freq: DataFrame, m: int = M, scheme: str = "classic") -> DataFrame:
-    """(id, dataset, attr, card, sig array<bigint>). ``one`` permutation: a minimum for each of m residues, empty ones filled
+    """(id, dataset, attr, card, sig array<bigint>); id is the struct of the two names. ``one`` permutation: a minimum for each of m residues, empty ones filled
     from the next full one."""
     hashed = freq.where(F.col("value").isNotNull()).select("dataset", "attr", value_hash(F.col("value")).alias("h"))
     card = F.count(F.lit(1)).alias("card")
@@ -38,7 +42,7 @@ def signatures(freq: DataFrame, m: int = M, scheme: str = "classic") -> DataFram
         keys = F.array_sort(F.map_keys("by"))
         at = lambda i: F.coalesce(F.get(F.filter(keys, lambda k: k >= i), F.lit(0)), F.get(keys, F.lit(0)))
         sig = slots.withColumn("sig", F.transform(F.sequence(F.lit(0), F.lit(m - 1)), lambda i: F.element_at("by", at(i)) * m + F.pmod(at(i) - i, F.lit(m)))).drop("by")
-    return sig.withColumn("id", F.concat_ws("|", "dataset", "attr"))
+    return sig.withColumn("id", F.struct("dataset", "attr"))
 
 
 def jaccard_estimate(a: Column, b: Column) -> Column:
@@ -46,9 +50,21 @@ def jaccard_estimate(a: Column, b: Column) -> Column:
 
 
 def partitions(sig: DataFrame, parts: int = PARTS) -> DataFrame:
-    """Adds ``part`` (by cardinality, then id) and ``upper``, the largest cardinality of the part."""
-    dealt = sig.withColumn("part", F.ntile(parts).over(Window.orderBy("card", "id")))
-    return dealt.withColumn("upper", F.max("card").over(Window.partitionBy("part")))
+    """Adds ``part`` (by cardinality, then names; parts differ by one attribute at most) and ``upper``, the largest cardinality of
+    the part. Names and sizes alone are ranked, range by range; the signatures stay where they are."""
+    keys = sig.select("dataset", "attr", "card")
+    ranged = stored(keys.repartitionByRange("card", "dataset", "attr").withColumn("_range", F.spark_partition_id()))
+    sizes = ranged.groupBy("_range").agg(F.count(F.lit(1)).alias("_n"))  # one row a partition
+    starts = sizes.select("_range", (F.sum("_n").over(Window.orderBy("_range")) - F.col("_n")).alias("_start"), F.sum("_n").over(Window.partitionBy()).alias("_all"))
+    place = F.row_number().over(Window.partitionBy("_range").orderBy("card", "dataset", "attr")) - 1
+    ranked = ranged.withColumn("_place", place).join(F.broadcast(starts), "_range").withColumn("_place", F.col("_place") + F.col("_start"))
+    # the first parts hold one more where the count doesn't divide
+    least, more = F.floor(F.col("_all") / parts), F.col("_all") % parts
+    long = more * (least + 1)
+    part = F.when(F.col("_place") < long, F.floor(F.col("_place") / (least + 1))).otherwise(more + F.floor((F.col("_place") - long) / F.greatest(least, F.lit(1)))) + 1
+    dealt = ranked.select("dataset", "attr", "card", part.cast("int").alias("part"))
+    uppers = dealt.groupBy("part").agg(F.max("card").alias("upper"))  # PARTS rows
+    return sig.join(dealt.join(F.broadcast(uppers), "part").drop("card"), ["dataset", "attr"])
 
 
 def jaccard_threshold(t: float, upper: float, query: float) -> float:
@@ -56,18 +72,35 @@ def jaccard_threshold(t: float, upper: float, query: float) -> float:
     return t / (upper / query + 1 - t)
 
 
+@lru_cache(maxsize=100_000)
 def banding(s: float, m: int = M) -> tuple[int, int]:
     """(b, r) with b * r <= m of least false positives below s plus false negatives above it; trapezoid rule."""
-    best = (float("inf"), 1, 1)
-    steps = 200
+    best, grid = (float("inf"), 1, 1), np.linspace(0.0, 1.0, 201)
+    low, high = grid * s, s + grid * (1.0 - s)
     for r in WIDTHS:
         for b in sorted({m // r, *(x for x in (1, 2, 4, 8, 16, 32, 64, 128) if x * r <= m)}):
-            hit = lambda x: 1 - (1 - x**r) ** b  # noqa: B023, E731
-            area = lambda f, lo, hi: sum((f(lo + (hi - lo) * i / steps) + f(lo + (hi - lo) * (i + 1) / steps)) / 2 for i in range(steps)) * (hi - lo) / steps
-            best = min(best, (area(hit, 0.0, s) + area(lambda x: 1 - hit(x), s, 1.0), b, r))
+            miss = lambda x: (1 - x**r) ** b  # noqa: B023, E731
+            error = s - np.trapezoid(miss(low), low) + np.trapezoid(miss(high), high)
+            best = min(best, (float(error), b, r))
     return best[1], best[2]
 
 
+def banding_steps(m: int = M, grid: int = 400) -> list[tuple[float, int, int]]:
+    """(s, b, r): the banding from each threshold s on, in ascending order; edges are bisected between grid points."""
+    out, left = [(0.0, *banding(0.0, m))], 0.0
+    for i in range(1, grid + 1):
+        right = i / grid
+        while banding(right, m) != out[-1][1:]:
+            lo, hi = left, right
+            while hi - lo > 1e-13:
+                mid = (lo + hi) / 2
+                lo, hi = (mid, hi) if banding(mid, m) == out[-1][1:] else (lo, mid)
+            out.append((hi, *banding(hi, m)))
+            left = hi
+        left = right
+    return out
+
+
 def _bands(df: DataFrame, b: int, r: int, width: Column) -> DataFrame:
     keys = F.transform(F.sequence(F.lit(0), F.lit(b - 1)), lambda i: F.struct(i.alias("band"), F.md5(F.array_join(F.transform(F.slice("sig", i * r + 1, r), lambda x: x.cast("string")), "-")).alias("key")))
     return df.select("*", width.alias("r"), F.explode(keys).alias("x")).select("*", "x.band", "x.key").drop("x")

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import learning, pairing, profiling, published, streams, surround  # noqa: F401  each registers its queries
+from . import comparison, learning, pairing, profiling, published, streams, surround, transformed  # noqa: F401  each registers its queries
 from .learning import flagship  # noqa: F401
 from .registry import ORACLES, QUERIES
 
@@ -12,4 +12,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict:
-    return dict(ORACLES)
+    return {name: sql() if callable(sql) else sql for name, sql in ORACLES.items()}

@@ -91,3 +91,11 @@ class Context:
     @cached_property
     def signatures(self) -> DataFrame:
         return stored(size_lsh.partitions(size_lsh.signatures(self.string_freq)))
+
+    @cached_property
+    def matched(self) -> DataFrame:
+        """Pairs of the test lake that the matcher proposes."""
+        from .comparison import matcher_hits
+
+        found = matcher_hits(self)
+        return stored(self.test.select(*pairs.ID).limit(0) if found is None else found)

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from ..operators import analysis, baselines, chain, discover, matcher, metrics, pairs, ranking, size_lsh, training, value_index
+from ..operators import analysis, discover, metrics, pairs, ranking, training
 from ..sources import derived
 from .context import context
 from .pairing import TRUTH_SQL, _CLASS
@@ -21,22 +21,28 @@ def distribution(spark, sf_dir):
     return training.class_counts(context(spark, sf_dir).train)
 
 
-#: Quotas of forest 3 by the same rule, written as arithmetic on the sorted class sizes.
-_QUOTA = """cnt AS (SELECT label, count(*) AS n FROM lab GROUP BY ALL), goal AS (SELECT least((SELECT n FROM cnt WHERE label = 3), (SELECT sum(n) FROM cnt WHERE label <> 3)) AS t),
-o AS (SELECT label, n, row_number() OVER (ORDER BY n, label) AS i FROM cnt WHERE label <> 3),
-s1 AS (SELECT label, least(n, (SELECT t FROM goal) // 4) AS q FROM o WHERE i = 1),
-s2 AS (SELECT label, least(n, ((SELECT t FROM goal) - (SELECT q FROM s1)) // 3) AS q FROM o WHERE i = 2),
-s3 AS (SELECT label, least(n, ((SELECT t FROM goal) - (SELECT q FROM s1) - (SELECT q FROM s2)) // 2) AS q FROM o WHERE i = 3),
-s4 AS (SELECT label, least(n, (SELECT t FROM goal) - (SELECT q FROM s1) - (SELECT q FROM s2) - (SELECT q FROM s3)) AS q FROM o WHERE i = 4),
-quota AS (SELECT * FROM s1 UNION ALL SELECT * FROM s2 UNION ALL SELECT * FROM s3 UNION ALL SELECT * FROM s4 UNION ALL SELECT 3, t FROM goal)"""
+def _quota(cls: int) -> str:
+    """CTEs up to ``quota<cls>(label, q)``: the rule of the balanced sample, written as arithmetic on the sorted class sizes."""
+    total = f"(SELECT least((SELECT coalesce(max(n), 0) FROM cnt WHERE label = {cls}), (SELECT sum(n) FROM cnt WHERE label <> {cls})))"
+    out = [f"o{cls} AS (SELECT label, n, row_number() OVER (ORDER BY n, label) AS i FROM cnt WHERE label <> {cls})"]
+    given = total
+    for i in range(1, 5):
+        share = f"least(n, ({given}) // {5 - i})" if i < 4 else f"least(n, {given})"
+        out.append(f"s{cls}_{i} AS (SELECT label, {share} AS q FROM o{cls} WHERE i = {i})")
+        given += f" - (SELECT q FROM s{cls}_{i})"
+    parts = " UNION ALL ".join(f"SELECT * FROM s{cls}_{i}" for i in range(1, 5))
+    return ", ".join(out) + f", quota{cls} AS ({parts} UNION ALL SELECT {cls}, {total})"
 
 
-@query("balanced_sample", f"{_LABELLED}, {_QUOTA} SELECT pair_id, label, CAST(label = 3 AS INT) AS target FROM (SELECT *, row_number() OVER (PARTITION BY label ORDER BY md5(pair_id), pair_id) AS i FROM lab) JOIN quota USING (label) WHERE i <= q")
+_COUNTS = "cnt AS (SELECT label, count(*) AS n FROM lab GROUP BY ALL)"
+
+
+@query("balanced_sample", f"{_LABELLED}, {_COUNTS}, {_quota(3)} SELECT pair_id, label, CAST(label = 3 AS INT) AS target FROM (SELECT *, row_number() OVER (PARTITION BY label ORDER BY md5(pair_id), pair_id) AS i FROM lab) JOIN quota3 USING (label) WHERE i <= q")
 def balanced(spark, sf_dir):
     return training.balanced(context(spark, sf_dir).train, 3).select("pair_id", "label", F.col("target").cast("int").alias("target"))
 
 
-@query("balanced_counts")
+@query("balanced_counts", f"{_LABELLED}, {_COUNTS}, {', '.join(_quota(c) for c in range(5))} {' UNION ALL '.join(f'SELECT {c} AS forest, label, CAST(q AS BIGINT) AS n FROM quota{c}' for c in range(5))}")
 def balanced_counts(spark, sf_dir):
     """Rows of each class in the sample of each forest."""
     train = context(spark, sf_dir).train
@@ -104,8 +110,9 @@ def interesting(spark, sf_dir):
 
 @query("discover_all_pairs")
 def all_pairs(spark, sf_dir):
+    """All pairs of the lake that the chain finds joinable; pairs whose cardinalities rule that out are never made."""
     c = context(spark, sf_dir)
-    return discover.all_pairs(c.strings, c.model)
+    return discover.all_pairs(c.strings, c.model, min_class=1)
 
 
 @query("discover_no_chain")
@@ -151,62 +158,3 @@ def errors(spark, sf_dir):
 def semantic(spark, sf_dir):
     same = F.expr(f"{derived.domain_sql('ref_attr')} = {derived.domain_sql('cand_attr')}")
     return metrics.semantic_share(context(spark, sf_dir).predicted.withColumn("same_domain", same))
-
-
-def _with_label(c, hits):
-    """Predictions of another method on the pairs of the test lake; pairs it doesn't name are class 0."""
-    return c.test.select(*pairs.ID, "label").join(hits, list(pairs.ID), "left").withColumn("pred_class", F.coalesce("pred_class", F.lit(0)))
-
-
-def lsh_test(c):
-    own = c.string_freq.where(F.expr(derived.split_sql("dataset")) == "test")
-    return size_lsh.partitions(size_lsh.signatures(own))
-
-
-@query("accuracy_hash_five_class")
-def hash_five(spark, sf_dir):
-    c = context(spark, sf_dir)
-    return metrics.confusion(_with_label(c, size_lsh.classify(lsh_test(c))))
-
-
-@query("accuracy_compared")
-def compared(spark, sf_dir):
-    """Binary accuracy of the chain, its ablations and the baselines on the same test pairs."""
-    c, out = context(spark, sf_dir), None
-    three = lambda df: df.select(*pairs.ID, F.lit(3).alias("pred_class"))
-    names = c.test.select(F.col("ref_dataset").alias("dataset"), F.col("ref_attr").alias("attr")).distinct()
-    rules_off = discover.predict(c.test, c.model, rule1=False, rule2=False).select(*pairs.ID, "pred_class")
-    methods = {
-        "chain": c.predicted.select(*pairs.ID, "pred_class"),
-        "chain without rules": rules_off,
-        "forests without chain": discover.predict(c.test, c.unchained).select(*pairs.ID, "pred_class"),
-        "one multiclass forest": chain.predict_multiclass(chain.fit_multiclass(c.train, chain.BEST[0]), c.test).select(*pairs.ID, "pred_class"),
-        "hash": three(size_lsh.all_hits(lsh_test(c), 0.5)),
-        "names": three(baselines.by_name(names, names)),
-        "jaccard at 0.5": three(c.truth.where("jaccard >= 0.5")),
-        "containment at 0.5": three(c.truth.where("containment >= 0.5")),
-    }
-    for name, hits in methods.items():
-        one = metrics.binary(metrics.confusion(_with_label(c, hits))).select(F.lit(name).alias("method"), "*")
-        out = one if out is None else out.unionByName(one)
-    return out
-
-
-@query("accuracy_matcher")
-def matcher_accuracy(spark, sf_dir):
-    """Binary accuracy of the matcher on all test pairs; it is trained on every test dataset that has several string attributes."""
-    c, out = context(spark, sf_dir), None
-    freq = c.string_freq.where(F.expr(derived.split_sql("dataset")) == "test")
-    refs = matcher.references(freq)
-    for ref in refs:
-        hits = matcher.fit(freq, ref).match(freq, ref).select(*pairs.ID, F.lit(3).alias("pred_class"))
-        out = hits if out is None else out.unionByName(hits)
-    return metrics.binary(metrics.confusion(_with_label(c, out)))
-
-
-@query("ranking_cost")
-def ranking_cost(spark, sf_dir):
-    """Pairs a user looks at before the first that is not joinable, by method: exact measures against the truth."""
-    c = context(spark, sf_dir)
-    index = value_index.build(c.string_freq)
-    return value_index.coverage(index, ("orders_1996", "buyer"), ("customer_geo", "client"))

@@ -135,10 +135,19 @@ def relations(spark, sf_dir):
     return both.select(quality.relation(F.coalesce("n_common", F.lit(0)), same).alias("kind")).groupBy("kind").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("containment_sketch")
+@query("containment_sketch", f"{TRUTH_SQL} SELECT {_ID}, round(containment, 6) AS containment, true AS within FROM truth")
 def sketch(spark, sf_dir):
-    s = quality.sketches(lake.derived_melted(spark, sf_dir))
-    return quality.sketch_containment(s, s)
+    """Pairs with a shared value: exact containment, and whether the estimate from sketches lies within four standard errors of it.
+
+    A sketch holds the share theta of a set's hashes that keeps it at its nominal size; the shared ones are a sample at the
+    smaller share of the two."""
+    c = context(spark, sf_dir)
+    s = quality.sketches(lake.derived_melted(spark, sf_dir).join(c.strings.select("dataset", "attr"), ["dataset", "attr"], "left_semi"))
+    estimated = quality.sketch_containment(s, s).withColumnRenamed("containment", "estimate")
+    both = c.truth.select(*pairs.ID, "containment", "n_common", "ref_card", "cand_card").join(estimated, list(pairs.ID))
+    theta = F.least(F.lit(1.0), quality.NOMINAL / F.greatest("ref_card", "cand_card"))
+    error = F.sqrt(F.col("n_common") * (1 / theta - 1)) / F.col("ref_card")
+    return both.select(*pairs.ID, F.round("containment", 6).alias("containment"), (F.abs(F.col("estimate") - F.col("containment")) <= 4 * error + 1e-9).alias("within"))
 
 
 # baselines
@@ -175,7 +184,7 @@ def name_baseline(spark, sf_dir):
 _PERM = ", ".join(f"({i}, {a}::BIGINT, {b}::BIGINT)" for i, (a, b) in enumerate(size_lsh.PERMUTATIONS))
 _SIG = f"""{PROFILE_SQL}, hv AS (SELECT f.dataset, f.attr, ('0x' || substr(md5(value), 1, 15))::BIGINT % {size_lsh.PRIME} AS h FROM freq f JOIN strs s ON f.dataset = s.dataset AND f.attr = s.attr WHERE value IS NOT NULL),
 perm AS (SELECT * FROM (VALUES {_PERM}) p(i, a, b)), sig AS (SELECT dataset, attr, i, min((a * h + b) % {size_lsh.PRIME}) AS v FROM hv, perm GROUP BY ALL)"""
-_PART = ", pc AS (SELECT dataset, attr, count(*) AS card FROM hv GROUP BY ALL), pt AS (SELECT *, ntile(32) OVER (ORDER BY card, concat_ws('|', dataset, attr)) AS part FROM pc), pu AS (SELECT *, max(card) OVER (PARTITION BY part) AS upper FROM pt)"
+_PART = ", pc AS (SELECT dataset, attr, count(*) AS card FROM hv GROUP BY ALL), pt AS (SELECT *, ntile(32) OVER (ORDER BY card, dataset, attr) AS part FROM pc), pu AS (SELECT *, max(card) OVER (PARTITION BY part) AS upper FROM pt)"
 
 
 @query("minhash_signature", f"{_SIG} SELECT dataset, attr, CAST(i AS INT) AS i, v FROM sig")
@@ -196,13 +205,36 @@ def lsh_candidates(spark, sf_dir):
     return a.join(b, ["band", "key"]).where("ref_dataset <> cand_dataset").select(*pairs.ID).distinct()
 
 
-@query("lsh_query")
+_BAND = ", bd AS (SELECT dataset, attr, r, i // r AS band, md5(string_agg(CAST(v AS VARCHAR), '-' ORDER BY i)) AS key FROM sig, (VALUES (1), (2), (4), (8), (16), (32)) w(r) GROUP BY dataset, attr, r, i // r)"
+
+
+def lsh_hits_sql(t: float, size: str) -> str:
+    """SELECT of (ref_dataset, ref_attr, cand_dataset, cand_attr): pairs that share a band of the width chosen for the threshold, the
+    candidate's part and the query's size (``size``, over q)."""
+    s = f"least(1.0, CAST({t} AS DOUBLE) / (CAST(cp.upper AS DOUBLE) / {size} + 1 - CAST({t} AS DOUBLE)))"
+    steps = size_lsh.banding_steps()
+    pick = lambda k: f"CASE {' '.join(f'WHEN {s} >= CAST({x[0]!r} AS DOUBLE) THEN {x[k]}' for x in reversed(steps))} END"
+    return f"""SELECT DISTINCT q.dataset AS ref_dataset, q.attr AS ref_attr, c.dataset AS cand_dataset, c.attr AS cand_attr
+  FROM bd q JOIN bd c ON q.r = c.r AND q.band = c.band AND q.key = c.key AND q.dataset <> c.dataset JOIN pu qp ON qp.dataset = q.dataset AND qp.attr = q.attr
+  JOIN pu cp ON cp.dataset = c.dataset AND cp.attr = c.attr WHERE q.r = {pick(2)} AND q.band < {pick(1)}"""
+
+
+ROUNDED = "pow(2.0, ceil(log2(greatest(qp.card, 1))))"
+
+
+def lsh_classes_sql() -> str:
+    """SELECT of the pairs with the class of the highest threshold that hits."""
+    some = " UNION ALL ".join(f"SELECT *, {cls} AS pred_class FROM ({lsh_hits_sql(t, ROUNDED)}) h{cls}" for cls, t in ((4, 0.75), (3, 0.5), (2, 0.25), (1, 0.1)))
+    return f"SELECT {_ID}, CAST(max(pred_class) AS INT) AS pred_class FROM ({some}) u GROUP BY ALL"
+
+
+@query("lsh_query", lambda: f"{_SIG}{_PART}{_BAND} SELECT cand_dataset, cand_attr FROM ({lsh_hits_sql(0.5, 'CAST(qp.card AS DOUBLE)')}) h WHERE ref_dataset = 'orders_1996' AND ref_attr = 'buyer'")
 def lsh_query(spark, sf_dir):
     sig = context(spark, sf_dir).signatures
     return size_lsh.query(sig, size_lsh.index(sig), "orders_1996", "buyer", 0.5)
 
 
-@query("lsh_five_class")
+@query("lsh_five_class", lambda: f"{_SIG}{_PART}{_BAND} {lsh_classes_sql()}")
 def five(spark, sf_dir):
     return size_lsh.classify(context(spark, sf_dir).signatures)
 

@@ -84,7 +84,25 @@ def top_values(spark, sf_dir):
     return profile.top_words(context(spark, sf_dir).freq, unit="value")
 
 
-@query("profile_soundex")
+def soundex_sql(w: str) -> str:
+    """Phonetic code of a lower-case word: the first letter, then three digits of the letters after it; h and w are passed over, letters of
+    one digit in a row count once, and anything but a letter parts them. A word that begins otherwise is its own code."""
+    letters, digits = "abcdefgijklmnopqrstuvxyz", "012301202245501262301202"  # fixed values: consonant groups; vowels are 0
+    lone = f"CASE WHEN substr({w}, 1, 1) IN ('h', 'w') THEN '7' ELSE translate(substr({w}, 1, 1), '{letters}', '{digits}') END"
+    rest = f"translate(regexp_replace(regexp_replace(substr({w}, 2), '[hw]', '', 'g'), '[^a-z]', '0', 'g'), '{letters}', '{digits}')"
+    run = f"({lone} || {rest})"
+    for d in "123456":
+        run = f"regexp_replace({run}, '{d}+', '{d}', 'g')"
+    return f"CASE WHEN regexp_matches({w}, '^[a-z]') THEN upper(substr({w}, 1, 1)) || rpad(substr(replace(substr({run}, 2), '0', ''), 1, 3), 3, '0') ELSE {w} END"
+
+
+@query(
+    "profile_soundex",
+    f"""{derived.duckdb_melted()}, w AS (SELECT dataset, attr, cnt, unnest(list_filter(string_split(regexp_replace({normalize.sql_lowered('value')}, '{normalize.NOT_WORD}', ' ', 'g'), ' '), lambda w: w <> '')) AS word FROM freq WHERE value IS NOT NULL),
+s AS (SELECT dataset, attr, word, sum(cnt) AS weight FROM w GROUP BY ALL), r AS (SELECT *, row_number() OVER (PARTITION BY dataset, attr ORDER BY weight DESC, word) AS place FROM s),
+x AS (SELECT dataset, attr, {soundex_sql('word')} AS sound, min(place) AS place FROM r WHERE place <= 10 GROUP BY ALL)
+SELECT dataset, attr, CAST(row_number() OVER (PARTITION BY dataset, attr ORDER BY place) - 1 AS INT) AS place, sound FROM x""",
+)
 def soundex(spark, sf_dir):
     return context(spark, sf_dir).profiles.select("dataset", "attr", F.posexplode("top_soundex").alias("place", "sound"))
 

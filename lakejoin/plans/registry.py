@@ -3,10 +3,11 @@
 from __future__ import annotations
 
 QUERIES: dict = {}
-ORACLES: dict[str, str] = {}
+#: SQL text, or a function that writes it when asked.
+ORACLES: dict = {}
 
 
-def query(name: str, oracle: str | None = None):
+def query(name: str, oracle=None):
     def keep(fn):
         if name in QUERIES:
             raise ValueError(f"two queries named {name}")

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
+from ..functions import normalize, valuetypes
+from ..operators import size_lsh
 from .context import context
 from .registry import query
 
@@ -111,9 +113,11 @@ def distinct(spark, sf_dir):
     return _t(spark, sf_dir, "lineitem").groupBy("l_returnflag").agg(F.count_distinct("l_partkey").alias("parts"), F.count_distinct("l_suppkey").alias("suppliers"))
 
 
-@query("rel_approx_distinct")
+@query("rel_approx_distinct", "SELECT l_returnflag, CAST(count(DISTINCT l_partkey) AS BIGINT) AS parts, true AS within FROM lineitem GROUP BY ALL")
 def approx(spark, sf_dir):
-    return _t(spark, sf_dir, "lineitem").groupBy("l_returnflag").agg(F.approx_count_distinct("l_partkey", 0.02).alias("parts"))
+    """Exact count, and whether the approximate one lies within four standard errors of it."""
+    both = _t(spark, sf_dir, "lineitem").groupBy("l_returnflag").agg(F.count_distinct("l_partkey").alias("parts"), F.approx_count_distinct("l_partkey", 0.02).alias("about"))
+    return both.select("l_returnflag", "parts", (F.abs(F.col("about") - F.col("parts")) <= 0.08 * F.col("parts")).alias("within"))
 
 
 _SETS = "CAST(count(*) AS BIGINT) AS n, round(sum(o_totalprice), 2) AS price FROM orders GROUP BY"
@@ -212,9 +216,33 @@ def html(spark, sf_dir):
     return _t(spark, sf_dir, "pages").select("page_id", F.regexp_extract("html", "<title>([^<]*)</title>", 1).alias("title"), F.regexp_extract("url", "^https?://([^/]+)", 1).alias("host"))
 
 
-@query("sql_functions", "SELECT DISTINCT p_type AS s, 0 AS distance, 4 AS quality FROM part")
+_LOW = normalize.sql_lowered("s")
+_DISTANCE = "CASE WHEN greatest(length(s), length(o)) = 0 THEN 0 ELSE levenshtein(s, o) / CAST(greatest(length(s), length(o)) AS DOUBLE) END"
+_STRINGS = "SELECT DISTINCT p_type AS s, p_brand AS o FROM {part} UNION SELECT url, '' FROM {pages} UNION SELECT c_name, c_mktsegment FROM {customer} UNION SELECT props, event_type FROM {events} UNION SELECT concat('+34 600 123 ', 100 + c_custkey % 900), 'x@y.org' FROM {customer} UNION SELECT 'x@y.org', '10.0.0.1' FROM {region}"
+
+
+@query(
+    "sql_functions",
+    f"WITH v AS ({_STRINGS.format(part='part', pages='pages', customer='customer', events='events', region='region')}), n AS (SELECT *, {_LOW} AS n, length(s) / CAST(length(s) + length(o) AS DOUBLE) AS c FROM v) "
+    f"SELECT s, o, round({_DISTANCE}, 6) AS distance, trim(regexp_replace(n, '{normalize.NOT_WORD}', ' ', 'g')) AS cleaned, {valuetypes.sql_broad('n')} AS broad, {valuetypes.sql_specific('n')} AS specific, "
+    "CAST(CASE WHEN c >= 0.75 AND 1 - c >= 0.25 THEN 4 WHEN c >= 0.5 AND 1 - c >= 0.125 THEN 3 WHEN c >= 0.25 AND 1 - c >= CAST(1 AS DOUBLE) / 12 THEN 2 WHEN c >= 0.1 THEN 1 ELSE 0 END AS INT) AS quality FROM n",
+)
 def sql_functions(spark, sf_dir):
+    """All five SQL functions over columns of several kinds."""
     from ..functions import sqlsurface
 
     sqlsurface.register(spark)
-    return spark.sql(f"SELECT DISTINCT p_type AS s, CAST(name_distance(p_type, p_type) AS INT) AS distance, join_quality(0.8D, 0.3D) AS quality FROM parquet.`{sf_dir}/part.parquet`")
+    tables = {t: f"parquet.`{sf_dir}/{t}.parquet`" for t in ("part", "pages", "customer", "events", "region")}
+    return spark.sql(
+        f"SELECT s, o, round(name_distance(s, o), 6) AS distance, clean_text(s) AS cleaned, broad_type(s) AS broad, specific_type(s) AS specific, join_quality(c, 1 - c) AS quality "
+        f"FROM (SELECT s, o, CAST(length(s) AS DOUBLE) / (length(s) + length(o)) AS c FROM ({_STRINGS.format(**tables)}))"
+    )
+
+
+@query("udaf_minhash", "WITH f AS (SELECT DISTINCT n_regionkey AS k, ('0x' || substr(md5(n_name), 1, 15))::BIGINT % {p} AS h FROM nation), perm AS (SELECT * FROM (VALUES {v}) p(i, a, b)) SELECT k, CAST(i AS INT) AS i, min((a * h + b) % {p}) AS v FROM f, perm GROUP BY ALL".format(p=size_lsh.PRIME, v=", ".join(f"({i}, {a}::BIGINT, {b}::BIGINT)" for i, (a, b) in enumerate(size_lsh.PERMUTATIONS[:8]))))
+def udaf(spark, sf_dir):
+    """A grouped pandas aggregate beside the built-in signatures."""
+    from ..functions import sqlsurface
+
+    signed = _t(spark, sf_dir, "nation").groupBy(F.col("n_regionkey").alias("k")).agg(sqlsurface.minhash_udaf(spark)("n_name").alias("sig"))
+    return signed.select("k", F.posexplode("sig").alias("i", "v"))

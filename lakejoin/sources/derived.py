@@ -51,6 +51,9 @@ class Group:
 
 
 _TRAIN_SLICES = ((0, 100), (0, 60), (30, 90), (50, 70), (10, 18), (0, 35), (65, 100), (20, 30))
+#: Small references: a few values of a large domain, whose containment in a large column is high and whose ratio is low.
+_TRAIN_PICKS = ((3, 4), (9, 10), (21, 23), (28, 29), (40, 42), (47, 50), (61, 62), (74, 77), (88, 89), (95, 97))
+_TEST_PICKS = ((1, 2), (5, 6), (15, 17), (25, 26), (33, 35), (44, 45), (58, 61), (69, 71), (82, 85), (91, 92))
 _TEST_SLICES = ((0, 80), (25, 75), (40, 100), (0, 50), (45, 55), (70, 78), (10, 70), (60, 95))
 
 
@@ -83,6 +86,10 @@ GROUPS: tuple[Group, ...] = (
     Group("cslice_test", "slice", _slices("cslice", "customer", "c_name", _TEST_SLICES), {"entity": "customer"}),
     Group("islice_train", "slice", _slices("islice", "part", "concat('item_', p_partkey)", _TRAIN_SLICES), {"entity": "item"}),
     Group("islice_test", "slice", _slices("islice", "part", "concat('item_', p_partkey)", _TEST_SLICES), {"entity": "item"}),
+    Group("cpick_train", "pick", _slices("cpick", "customer", "c_name", _TRAIN_PICKS), {"entity": "customer"}),
+    Group("cpick_test", "pick", _slices("cpick", "customer", "c_name", _TEST_PICKS), {"entity": "customer"}),
+    Group("ipick_train", "pick", _slices("ipick", "part", "concat('item_', p_partkey)", _TRAIN_PICKS), {"entity": "item"}),
+    Group("ipick_test", "pick", _slices("ipick", "part", "concat('item_', p_partkey)", _TEST_PICKS), {"entity": "item"}),
     Group("gate", "gate", "SELECT 'keys_as_text' AS dataset, concat('', c_custkey) AS custkey_txt, concat('+34 600 123 ', 100 + c_custkey % 900) AS phone_txt, concat('2001-01-', 10 + c_custkey % 18) AS date_txt, '   ' AS blank_txt, CAST(NULL AS VARCHAR(9)) AS null_txt FROM customer", {c: "gate" for c in ("custkey_txt", "phone_txt", "date_txt", "blank_txt", "null_txt")}),
 )
 
@@ -96,8 +103,10 @@ def split_sql(dataset: str) -> str:
     names = lambda xs: ", ".join(f"'{x}'" for x in xs)
     train = ["nation_dir", "customer_geo", "supplier_geo", *(f"orders_{y}" for y in _ODD), *(f"customer_mod{m}" for m in (2, 4, 10, 16)), *(f"docs_src{i}" for i in range(10)), "vocab_en", "vocab_de", *(f"events_d{d}" for d in (1, 7, 13, 19, 25))]
     train += [f"{p}_{a}_{b}" for p in ("cslice", "islice") for a, b in _TRAIN_SLICES]
+    train += [f"{p}_{a}_{b}" for p in ("cpick", "ipick") for a, b in _TRAIN_PICKS]
     test = ["part_all", "part_small", "shipments", *(f"orders_{y}" for y in _EVEN), *(f"customer_mod{m}" for m in (3, 8, 12)), *(f"docs_src{i}" for i in range(10, 20)), "vocab_es", "vocab_fr", "bench_terms", "chat_terms", "chat", "page_hosts", *(f"events_d{d}" for d in (4, 10, 16, 22, 28))]
     test += [f"{p}_{a}_{b}" for p in ("cslice", "islice") for a, b in _TEST_SLICES]
+    test += [f"{p}_{a}_{b}" for p in ("cpick", "ipick") for a, b in _TEST_PICKS]
     return f"CASE WHEN {dataset} IN ({names(train)}) THEN 'train' WHEN {dataset} IN ({names(test)}) THEN 'test' END"
 
 

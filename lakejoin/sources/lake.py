@@ -30,9 +30,9 @@ def melt(df: DataFrame, dataset: str | None = None, columns: list[str] | None =
     return long.select((F.col("dataset") if dataset is None else F.lit(dataset)).alias("dataset"), "attr", "value")
 
 
-def testbed_of(n_bytes) -> F.Column:
+def testbed_of(n_bytes, limits: tuple[tuple[str, int], ...] = TESTBEDS) -> F.Column:
     out = F.lit("L")
-    for name, limit in reversed(TESTBEDS):
+    for name, limit in reversed(limits):
         out = F.when(n_bytes <= limit, name).otherwise(out)
     return out
 
@@ -87,6 +87,22 @@ class Lake:
         parts = [melt(df, name) for name, df in self.frames.items() if string_columns(df)]
         return reduce(DataFrame.unionByName, parts) if parts else melt(self.spark.createDataFrame([], "x int"), "")
 
+    def profile(self, mode: str = "exact") -> DataFrame:
+        """Profiles of all string columns; ``sketch`` shuffles no value."""
+        from ..operators import profile
+
+        return profile.sketched(self.melted()) if mode == "sketch" else profile.profiles(profile.frequencies(self.melted()))
+
+    def discover(self, dataset: str, model, attr: str | None = None, min_class: int = 1, top: int | None = None, profiles: DataFrame | None = None) -> DataFrame:
+        """Ranking of the lake's other datasets for one attribute, or for all of a dataset; stored ``profiles`` save the scan."""
+        from ..operators import discover
+
+        known = self.profile() if profiles is None else profiles
+        ref, rest = known.where(F.col("dataset") == dataset), known.where(F.col("dataset") != dataset)
+        if attr is None:
+            return discover.by_dataset(ref, rest, model, min_class, top)
+        return discover.by_attribute(ref, attr, rest, model, min_class, top)
+
     def register_views(self, prefix: str = "") -> None:
         for name, df in self.frames.items():
             df.createOrReplaceTempView(f"{prefix}{name}")

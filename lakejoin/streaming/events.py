@@ -4,8 +4,10 @@ from __future__ import annotations
 
 import uuid
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupStateTimeout
 
 from ..operators import profile
 from ..session import shared_dir
@@ -68,3 +70,21 @@ def enriched(stream: DataFrame, profiles: DataFrame) -> DataFrame:
     """Stream-static join: each event's type with the profile of its column."""
     types = profiles.where("attr = 'event_type'").select("attr", "cardinality", "entropy")
     return stream.withColumn("attr", F.lit("event_type")).join(types, "attr", "left")
+
+
+def daily_on_time(stream: DataFrame, late: str) -> DataFrame:
+    """Closed days and their events; a row older than the watermark when it comes is dropped, so its day never changes again."""
+    return stream.withWatermark("ts", late).groupBy(F.window("ts", "1 day")).agg(F.count(F.lit(1)).alias("n"))
+
+
+def first_seen(stream: DataFrame, column: str) -> DataFrame:
+    """(value, first_ts): every distinct value of a column once, when it is first seen, by arbitrary state: a flag for each value."""
+
+    def see(key, parts, state):
+        ts = min(p["ts"].min() for p in parts)
+        if not state.exists:
+            state.update((True,))
+            yield pd.DataFrame({"value": [key[0]], "first_ts": [ts]})
+
+    rows = stream.select(F.col(column).alias("value"), "ts").where(F.col("value").isNotNull())
+    return rows.groupBy("value").applyInPandasWithState(see, "value string, first_ts timestamp", "seen boolean", "append", GroupStateTimeout.NoTimeout)

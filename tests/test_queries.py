@@ -11,7 +11,8 @@ import __spark_entry__ as entry
 from lakejoin.plans import catalog
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-NAMES = [n for n in catalog.ORACLES if n in ("profile_full", "profile_octiles", "profile_top_words", "string_gate", "zscore", "pair_distances", "quality_all", "quality_boundaries", "relation_kinds", "candidate_pairs_pruned", "balanced_sample", "downgrade_rules", "minhash_signature", "lsh_candidates", "clean_pairs", "metrics_published", "cq_multi", "rel_as_of_join", "rel_window_frames", "rel_grouping_sets", "stream_profile", "stream_sessions")]
+ORACLES = catalog.oracle_sql()
+NAMES = [n for n in ORACLES if n in ("profile_full", "profile_octiles", "profile_top_words", "string_gate", "zscore", "pair_distances", "quality_all", "quality_boundaries", "relation_kinds", "candidate_pairs_pruned", "balanced_sample", "downgrade_rules", "minhash_signature", "lsh_candidates", "clean_pairs", "profile_soundex", "containment_sketch", "lsh_query", "lsh_five_class", "balanced_counts", "ranking_cost", "testbed_sizes", "class_distribution_by_testbed", "nonsyntactic_pairs", "sql_functions", "udaf_minhash", "rel_approx_distinct", "stream_late", "stream_first_seen", "stream_enriched", "stream_sliding", "metrics_published", "cq_multi", "rel_as_of_join", "rel_window_frames", "rel_grouping_sets", "stream_profile", "stream_sessions")]
 
 
 @pytest.fixture(scope="module")
@@ -29,7 +30,7 @@ def rows(df):
 
 @pytest.mark.parametrize("name", NAMES)
 def test_oracle(spark, sf, duck, name):
-    ours, theirs = catalog.QUERIES[name](spark, sf).toPandas(), duck.execute(catalog.ORACLES[name]).df()
+    ours, theirs = catalog.QUERIES[name](spark, sf).toPandas(), duck.execute(ORACLES[name]).df()
     assert sorted(ours.columns) == sorted(theirs.columns)
     mine, other = rows(ours), rows(theirs)
     assert len(mine) == len(other)
