@@ -16,8 +16,6 @@ from __future__ import annotations
 
 import ctypes
 import gc
-import tempfile
-import uuid
 from collections.abc import Callable
 
 import numpy as np
@@ -27,7 +25,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..session import ship
+from ..session import dropped, shared_dir, ship, stored  # noqa: F401  operators take them from here
 
 #: A word: a run of characters other than the six ASCII blanks. ``bytes.split()`` cuts UTF-8 text alike.
 WORD = r"[^\x20\x09-\x0D]+"
@@ -63,37 +61,12 @@ def tokenizer_file(spark: SparkSession, name: str) -> str:
     return f"{spark.conf.get('spark.lakejoin.tokenizers', '/opt/tokenizers')}/{name}"
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The checkpoint folder of the session; only where none is set (tests, one machine) a temporary one."""
-    sc = spark.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="lakejoin-"))
-    return sc.getCheckpointDir()
-
-
 def cut(df: DataFrame) -> DataFrame:
     """End the lineage of a small frame: a reliable checkpoint, which outlives the loss of any executor."""
     shared_dir(df.sparkSession)
     return df.checkpoint(eager=True)
 
 
-def stored(df: DataFrame) -> DataFrame:
-    """End the lineage of a large frame: compressed Parquet in the shared folder, read back."""
-    path = f"{shared_dir(df.sparkSession)}/table-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    out = df.sparkSession.read.parquet(path)
-    out.stored_in = path
-    return out
-
-
-def dropped(*tables: DataFrame) -> None:
-    """Delete tables of ``stored`` that nothing reads any more; disk then holds no more than the step at hand needs."""
-    for t in tables:
-        spark = t.sparkSession
-        path = spark._jvm.org.apache.hadoop.fs.Path(t.stored_in)
-        path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
-
-
 _caches: list = []
 
 
