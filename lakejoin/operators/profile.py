@@ -127,11 +127,12 @@ def profiles(freq: DataFrame, values: DataFrame | None = None) -> DataFrame:
 def profile_dataset(df: DataFrame, name: str, mode: str = "exact") -> DataFrame:
     from ..sources.lake import melt
 
-    return sketched(melt(df, name)) if mode == "sketch" else profiles(frequencies(melt(df, name)))
+    return approximate(melt(df, name)) if mode == "sketch" else profiles(frequencies(melt(df, name)))
 
 
 def sketched(melted: DataFrame, relative_error: float = 0.02) -> DataFrame:
-    """Approximate profile straight from the cells: no value is shuffled, state is a few KB an attribute and task."""
+    """The part of an approximate profile that comes straight from the cells: no value is shuffled, state is a few KB an attribute
+    and task. Counts, lengths, words and shares are exact."""
     n, here = normalize.lowered(F.col("value")), F.col("value").isNotNull()
     rows = melted.withColumn("n", n).select(*KEY, "value", F.size(normalize.tokens(F.col("n"))).alias("w"), normalize.char_length(F.col("n")).alias("c"), valuetypes.broad_type(F.col("n")).alias("broad"), valuetypes.specific_type(F.col("n")).alias("specific"))
     v = lambda x: F.when(here, x)
@@ -140,8 +141,7 @@ def sketched(melted: DataFrame, relative_error: float = 0.02) -> DataFrame:
         F.count(F.lit(1)).alias("n_rows"),
         F.count("value").alias("n_nonnull"),
         F.approx_count_distinct("value", relative_error).alias("cardinality"),
-        F.expr("approx_top_k(value, 10)").alias("top_values"),
-        F.hll_sketch_agg("value").alias("distinct_sketch"),
+        F.expr(f"approx_top_k(value, {TOP})").alias("top_values"),
         F.max(v(F.col("c"))).alias("len_max"), F.min(v(F.col("c"))).alias("len_min"), F.avg(v(F.col("c"))).alias("len_avg"),
         F.sum(v(F.col("w"))).alias("words_total"), F.avg(v(F.col("w"))).alias("words_avg"),
         F.min(v(F.col("w"))).alias("words_min"), F.max(v(F.col("w"))).alias("words_max"), F.stddev_pop(v(F.col("w"))).alias("words_sd"),
@@ -150,6 +150,52 @@ def sketched(melted: DataFrame, relative_error: float = 0.02) -> DataFrame:
     )
 
 
+#: Distinct values of an attribute whose counts stand for all in an approximate profile.
+SAMPLED = 4_096
+
+
+def approximate(melted: DataFrame) -> DataFrame:
+    """Whole profiles of the same columns as ``profiles``, for attributes whose distinct values are too many to shuffle.
+
+    After the cells' own pass, the values whose hash falls under a share of ``SAMPLED`` over the attribute's cardinality are counted
+    exactly: at most about that many of an attribute travel, all of a smaller one. Their counts give the distribution
+    (averages, deviations, octiles, entropy), the most frequent value of both passes the maximum. Frequent words come from a
+    sketch too. Where an attribute has no more than ``SAMPLED`` values, only its cardinality and words are approximate.
+    """
+    base = sketched(melted)
+    share = F.least(F.lit(1.0), SAMPLED / F.greatest(F.col("cardinality"), F.lit(1)))
+    rates = base.select(*KEY, share.alias("rate"))
+    # a row an attribute: the planner broadcasts it by its size, or joins by key
+    place = F.pmod(F.xxhash64("value"), F.lit(1 << 30)) / (1 << 30)
+    some = melted.where(F.col("value").isNotNull()).join(rates, list(KEY)).where(place < F.col("rate")).groupBy(*KEY, "value", "rate").agg(F.count(F.lit(1)).alias("c"))
+    c = F.col("c")
+    spread = some.groupBy(*KEY).agg(
+        F.avg(c).alias("freq_avg"), F.min(c).alias("freq_min"), F.max(c).alias("_max"), F.stddev_pop(c).alias("freq_sd"),
+        F.percentile(c, F.array(*map(F.lit, OCTILES))).alias("_octiles"), (F.sum(c * F.log2(c)) / F.sum(c)).alias("_bits"),
+    )
+    words = melted.where(F.col("value").isNotNull()).select(*KEY, F.explode(normalize.tokens(normalize.lowered(F.col("value")))).alias("word"))
+    lists = words.groupBy(*KEY).agg(F.expr(f"approx_top_k(word, {TOP})").alias("k")).select(*KEY, F.transform("k", lambda x: x["item"]).alias("top_words"))
+    n = F.when(F.col("n_nonnull") > 0, F.col("n_nonnull"))
+    most = F.greatest(F.col("_max"), F.get(F.transform("top_values", lambda x: x["count"]), F.lit(0)))
+    empty = F.array().cast("array<string>")
+    joined = base.join(spread, list(KEY), "left").join(lists, list(KEY), "left").withColumn("freq_max", most).withColumn("cardinality", F.when(n.isNull(), 0).otherwise(F.col("cardinality")))
+    top = F.coalesce("top_words", empty)
+    dominant = lambda kinds: F.when(n.isNotNull(), _dominant([(t, F.col(f"share_{t}")) for t in kinds]))
+    return joined.select(
+        *KEY, "n_rows", "n_nonnull", "cardinality",
+        F.when(n.isNotNull(), F.least(F.lit(1.0), F.col("cardinality") / n)).alias("uniqueness"),
+        ((F.col("n_rows") - F.col("n_nonnull")) / F.col("n_rows")).alias("incompleteness"),
+        F.when(n.isNotNull(), F.greatest(F.lit(0.0), F.log2(n) - F.col("_bits"))).alias("entropy"),
+        "freq_avg", "freq_min", "freq_max", "freq_sd",
+        F.transform("_octiles", lambda q: q / n).alias("octiles"),
+        (F.col("freq_min") / n).alias("pct_min"), (F.col("freq_max") / n).alias("pct_max"), (F.col("freq_sd") / n).alias("pct_sd"), (F.col("freq_max") / F.col("n_rows")).alias("constancy"),
+        dominant(valuetypes.BROAD).alias("data_type"), dominant(valuetypes.SPECIFIC).alias("specific_type"),
+        *[F.col(f"share_{t}") for t in (*valuetypes.BROAD, *valuetypes.SPECIFIC)],
+        "len_max", "len_min", "len_avg", F.col("words_total").cast("bigint").alias("words_total"), "words_avg", "words_min", "words_max", "words_sd",
+        top.alias("top_words"), F.array_distinct(F.transform(top, F.soundex)).alias("top_soundex"),
+    )
+
+
 def string_attributes(profiled: DataFrame, ruled_out: tuple[str, ...] = ("numeric", "datetime"), phones: bool = False) -> DataFrame:
     """The second gate, by what the values are: numbers, dates and phone numbers in text columns, and empty columns, go."""
     kept = F.col("data_type").isNotNull() & ~F.col("data_type").isin(*ruled_out)

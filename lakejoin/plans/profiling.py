@@ -118,9 +118,21 @@ def gate(spark, sf_dir):
     return context(spark, sf_dir).strings.select("dataset", "attr", "data_type", "specific_type")
 
 
-@query("profile_sketch")
+_EXACT = ("n_rows", "n_nonnull", "len_max", "len_min", "words_total", "words_min", "words_max", "data_type", "specific_type")
+
+
+@query("profile_sketch", f"{PROFILE_SQL} SELECT dataset, attr, {', '.join(c if c.endswith('_type') else f'CAST({c} AS BIGINT) AS {c}' for c in _EXACT)}, true AS near FROM prof")
 def sketch(spark, sf_dir):
-    return profile.sketched(lake.derived_melted(spark, sf_dir)).drop("distinct_sketch", "top_values")
+    """Approximate profiles: what is exact in them, and whether cardinality (within 8 %) and, where all values were counted, entropy and
+    the largest count agree with the exact profile."""
+    c = context(spark, sf_dir)
+    about = profile.approximate(lake.derived_melted(spark, sf_dir))
+    true = c.profiles.select("dataset", "attr", *[F.col(x).alias(f"_{x}") for x in ("cardinality", "entropy", "freq_max")])
+    both = about.join(true, ["dataset", "attr"])
+    within = lambda x, part: F.coalesce(F.abs(F.col(x) - F.col(f"_{x}")) <= part * F.abs(F.col(f"_{x}")) + 1e-6, F.lit(True))
+    whole = F.col("cardinality") <= profile.SAMPLED
+    near = within("cardinality", 0.08) & (~whole | within("entropy", 1e-6)) & (~whole | within("freq_max", 0.0))
+    return both.select("dataset", "attr", *[F.col(x) if x.endswith("_type") else F.col(x).cast("bigint").alias(x) for x in _EXACT], near.alias("near"))
 
 
 _UNPIVOT = lambda body: " UNION ALL ".join(f"SELECT dataset, attr, '{c}' AS feature, {body.format(c=c)} AS z FROM strs" for c in scaling.SCALED)

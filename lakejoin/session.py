@@ -14,8 +14,18 @@ from pyspark.sql import DataFrame, SparkSession
 _NAME = "lakejoin-package.zip"
 
 
+#: Rows and bytes of an Arrow batch: a row may be a long text, and a batch is held on both sides at once.
+BATCH_ROWS, BATCH_BYTES = 2_000, 8 << 20
+
+
 def ship(spark: SparkSession) -> None:
-    """Send this package to the executors once a context, so that Python workers can import it anywhere."""
+    """Send this package to the executors once a context, so that Python workers can import it anywhere; and lower the session's
+    limits of Arrow batches to ours, where they are above."""
+    for name, most in (("maxRecordsPerBatch", BATCH_ROWS), ("maxBytesPerBatch", BATCH_BYTES)):
+        key = f"spark.sql.execution.arrow.{name}"
+        now = re.fullmatch(r"(-?\d+)b?", spark.conf.get(key))
+        if now is None or not 0 < int(now[1]) <= most:
+            spark.conf.set(key, str(most))
     sc = spark.sparkContext
     if _NAME in sc._python_includes:
         return

@@ -91,7 +91,7 @@ class Lake:
         """Profiles of all string columns; ``sketch`` shuffles no value."""
         from ..operators import profile
 
-        return profile.sketched(self.melted()) if mode == "sketch" else profile.profiles(profile.frequencies(self.melted()))
+        return profile.approximate(self.melted()) if mode == "sketch" else profile.profiles(profile.frequencies(self.melted()))
 
     def discover(self, dataset: str, model, attr: str | None = None, min_class: int = 1, top: int | None = None, profiles: DataFrame | None = None) -> DataFrame:
         """Ranking of the lake's other datasets for one attribute, or for all of a dataset; stored ``profiles`` save the scan."""

@@ -78,6 +78,25 @@ def test_sketch_near_exact(spark):
     assert (exact.n_rows, exact.len_max, exact.words_total) == (sketch.n_rows, sketch.len_max, sketch.words_total)
 
 
+def test_approximate_profiles_serve_the_model(spark, monkeypatch):
+    """The same columns as exact profiles; equal where all values are counted, close where a share of them is."""
+    skew = "CASE WHEN id % 3 = 0 THEN concat('top ', id % 5) ELSE concat('value ', id % 4001) END AS x"
+    df = spark.range(30_000).selectExpr(skew, "concat('k', id) AS y", "CAST(NULL AS STRING) AS z")
+    exact = {r.attr: r for r in profile.profile_dataset(df, "d").collect()}
+    whole = profile.profile_dataset(df, "d", mode="sketch")
+    assert set(whole.columns) == set(profile.profile_dataset(df, "d").columns)
+    monkeypatch.setattr(profile, "SAMPLED", 500)
+    part = {r.attr: r for r in profile.profile_dataset(df, "d", mode="sketch").collect()}
+    whole = {r.attr: r for r in whole.collect()}
+    x, a, b = exact["x"], whole["x"], part["x"]
+    assert a.entropy == pytest.approx(x.entropy) and a.octiles == pytest.approx(x.octiles) and (a.freq_max, a.freq_min, a.data_type) == (x.freq_max, x.freq_min, x.data_type)
+    assert b.freq_max == x.freq_max and b.octiles == pytest.approx(x.octiles, rel=0.3) and abs(b.cardinality - x.cardinality) < 0.08 * x.cardinality
+    assert set(a.top_words[:2]) == set(x.top_words[:2]) and part["y"].entropy == pytest.approx(exact["y"].entropy, rel=0.02)
+    assert whole["z"].cardinality == 0 and whole["z"].entropy is None and whole["z"].data_type is None and whole["z"].top_words == []
+    strings = profile.string_attributes(profile.profile_dataset(df, "d", mode="sketch"))
+    assert pairs.distances(pairs.candidates(*[scaling.apply_zscore(t, scaling.fit_zscore(strings)) for t in (strings, strings.withColumn("dataset", F.lit("e")))])).count() == 4
+
+
 def test_plan_reads_strings_once(spark, sf):
     part = spark.read.parquet(f"{sf}/part.parquet")
     plan = profile.frequencies(melt(part, "part"))._jdf.queryExecution().executedPlan().toString()
