@@ -1,6 +1,9 @@
 import random
 
-from lakejoin.llm import simhash
+import numpy as np
+from pyspark.sql import functions as F
+
+from lakejoin.llm import nearcopies, simhash
 
 
 def shingles(text):
@@ -65,3 +68,17 @@ def test_stage_keeps_what_brute_force_keeps(spark):
     assert pairs > 300 and 80 < len(want) < len(rows) - 80
     docs = spark.createDataFrame(rows, "doc_id bigint, text string")
     assert {r.doc_id for r in simhash.stage(spark, docs, "").collect()} == want
+
+
+def test_bitmaps_bound_the_difference(spark):
+    """Of sets of unlike sizes, folded where they must be: never more than the codes that only one has, and close to them."""
+    rng = np.random.default_rng(3)
+    rows = []
+    for n in (0, 1, 5, 250, 260, 500, 520, 1_000, 5_000):
+        a = rng.integers(0, 1 << 63, n, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+        for gone in (0, n // 20, n // 5):
+            b = np.concatenate([a[gone:], rng.integers(0, 1 << 63, n // 20, dtype=np.uint64) * np.uint64(2)])
+            rows.append((nearcopies.parity(a).tolist(), nearcopies.parity(b).tolist(), gone + n // 20))
+    df = spark.createDataFrame(rows, "a array<bigint>, b array<bigint>, d int")
+    got = df.select(nearcopies.apart(F.col("a"), F.col("b")).alias("n"), "d").collect()
+    assert all(r.n <= r.d and r.n % 2 == r.d % 2 and r.n >= 0.7 * r.d - 4 for r in got)
