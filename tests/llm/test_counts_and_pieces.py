@@ -72,7 +72,7 @@ def test_mix_sorts_and_repeats(spark, docs):
 
 @pytest.fixture(scope="module")
 def coder():
-    return pieces.Pieces(pieces._model(pieces.MODEL), 4)
+    return pieces.Pieces(pieces._model("/opt/tokenizers/" + pieces.MODEL), 4)
 
 
 def every_path(coder, s):
@@ -112,20 +112,68 @@ def brute_root(text):
     return sha(",".join(sha(",".join(sha(p) for p in s.split("\n"))) for s in text.split("\n\n")))
 
 
+def brute_leaves(text):
+    import hashlib
+
+    import regex
+
+    return {hashlib.md5(p.encode()).hexdigest()[: merkle.DIGITS] for p in regex.findall(merkle.PATTERN, text)}
+
+
+def brute_likeness(a, b):
+    least = sorted(a | b)[: merkle.SKETCH]
+    return sum(x in a and x in b for x in least) / len(least) if least else 1.0
+
+
 def test_merkle(spark, odd, nothing, docs):
     got = {r.doc_id: r for r in merkle.compared(docs).collect()}
     rows = sorted((r.doc_id, r.text or "") for r in docs.select("doc_id", "text").collect())
     for (d, t), (_, after) in zip(rows, rows[1:] + rows[:1]):
         q = len(t) // 4
         edited = t[: len(t) - q] + after[:q]
-        assert got[d].fingerprint == brute_root(t) and got[d].edited_fingerprint == brute_root(edited) and got[d].n_chars == len(t)
+        print_of = lambda x: brute_root(x) + "".join(sorted(brute_leaves(x))[: merkle.SKETCH])
+        assert got[d].fingerprint == print_of(t) and got[d].edited_fingerprint == print_of(edited) and got[d].n_chars == len(t)
         assert (got[d].fingerprint == got[d].edited_fingerprint) == (t == edited)
+        a, b, c = (set(sorted(brute_leaves(x))[: merkle.SKETCH]) for x in (t, edited, after))
+        assert got[d].near_edited == pytest.approx(brute_likeness(a, b)) and got[d].near_next == pytest.approx(brute_likeness(a, c))
+        if t == edited:
+            assert got[d].edit_section is None
+        else:
+            s, e = t.split("\n\n"), edited.split("\n\n")
+            k = next(i for i in range(max(len(s), len(e))) if s[i : i + 1] != e[i : i + 1])
+            assert got[d].edit_section == k
     assert sum(r.near_edited > r.near_next for r in got.values()) > 0.9 * len(got)
-    assert merkle.compared(odd).count() == 10 and merkle.compared(nothing).count() == 0
+    assert merkle.compared(nothing).count() == 0
     one = merkle.compared(odd.where("doc_id = 6")).first()
     assert one.near_next == 1.0
 
 
+def test_merkle_versions_and_rows_without_id(spark, odd):
+    """Rows that share an id, null ids too, are each followed by the least text of the next id."""
+    rows = [(r.doc_id, r.text or "") for r in odd.collect()] + [(None, "b"), (None, "a"), (8, "zz")]
+    got = sorted((r.doc_id if r.doc_id is not None else 99, r.fingerprint[:64], r.edited_sha256) for r in merkle.compared(spark.createDataFrame(rows, "doc_id bigint, text string")).collect())
+    import hashlib
+
+    ids = sorted({99 if d is None else d for d, _ in rows})
+    least = {i: min(t.encode() for d, t in rows if (99 if d is None else d) == i).decode() for i in ids}
+    want = []
+    for d, t in rows:
+        i = 99 if d is None else d
+        after = least[ids[(ids.index(i) + 1) % len(ids)]]
+        q = len(t) // 4
+        want.append((i, brute_root(t), hashlib.sha256((t[: len(t) - q] + after[:q]).encode()).hexdigest()))
+    assert got == sorted(want)
+
+
+def test_likeness_is_close_to_the_leaves(spark):
+    texts = [" ".join(f"word{i} and{i * 7 % 311}." for i in range(n, n + 900)) for n in (0, 90, 300, 600, 5_000)]
+    df = spark.createDataFrame([(a, b) for a in texts for b in texts], "a string, b string")
+    fp = lambda c: merkle.fingerprint(merkle.tree(F.col(c))["root"], F.col(c))
+    for r in df.select("a", "b", merkle.likeness(fp("a"), fp("b")).alias("n")).collect():
+        x, y = brute_leaves(r.a), brute_leaves(r.b)
+        assert abs(r.n - len(x & y) / len(x | y)) < 4 * 0.5 / merkle.SKETCH**0.5
+
+
 def test_successors_over_sparse_ids(spark):
     ids = sorted({0, 1, 2, 1023, 1024, 5_000_000, 2**40, 2**40 + 1, -5, -(2**50), 2**63 - 1})
     got = {r.k: r.next for r in merkle.successors(spark.createDataFrame([(i,) for i in ids], "k bigint"), ids[0], ids[-1]).collect()}
@@ -163,8 +211,38 @@ def test_tokenizer_counts(spark, odd):
 
     t = Tokenizer.from_file(P.path("byte_bpe_50k.json"))
     t.encode_special_tokens = True
-    got = {r.doc_id: r.tokens for r in rollup.tokenizer_counts(odd, P.path("byte_bpe_50k.tiktoken"), P.PATTERN).collect()}
-    assert got == {r.doc_id: len(t.encode(r.text or "", add_special_tokens=False).ids) for r in odd.collect()}
+    got = {r.doc_id: r for r in rollup.tokenizer_counts(odd, {"a": P.path("byte_bpe_50k.tiktoken")}).collect()}
+    assert {d: r.tokens for d, r in got.items()} == {r.doc_id: [len(t.encode(r.text or "", add_special_tokens=False).ids)] for r in odd.collect()}
+    assert {d: r.chars for d, r in got.items()} == {r.doc_id: len(r.text or "") for r in odd.collect()}
+
+
+def test_rollup_query_against_counting_all(spark, sf, docs):
+    """Totals of the query, whole texts counted by another implementation of the vocabulary where there is one."""
+    import base64
+
+    import public_tokenizers as P
+    import tiktoken
+    from tokenizers import Tokenizer
+
+    one = Tokenizer.from_file(P.path("byte_bpe_50k.json"))
+    one.encode_special_tokens = True
+    with open(P.path("byte_bpe_multi_50k.tiktoken"), "rb") as f:
+        two = tiktoken.Encoding("two", pat_str=P.PATTERN, mergeable_ranks={base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}, special_tokens={})
+    marks = {r.doc_id: r for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
+    want: dict = {}
+    for r in docs.collect():
+        mark = marks.get(r.doc_id)
+        if mark is not None and mark.quality == 0:
+            continue
+        gone = mark is not None and mark.toxic == 1
+        text = r.text or ""
+        for version, n in (("bpe-50k", len(one.encode(text, add_special_tokens=False).ids)), ("bpe-multi-50k", 0 if gone else len(two.encode_ordinary(text)))):
+            total = want.setdefault((r.source, r.lang, version), [0, 0, 0])
+            total[0] += 1
+            total[1] += n
+            total[2] += 0 if gone and version == "bpe-multi-50k" else len(text)
+    got = {(r.source, r.lang, r.version): [r.docs, r.tokens, r.chars] for r in queries.QUERIES["op8_token_rollup"](spark, sf).collect()}
+    assert got == want
 
 
 def test_pipeline_stages(spark, sf, docs):
@@ -181,7 +259,7 @@ def test_pipeline_stages(spark, sf, docs):
             kept = now.join(marks, "doc_id").groupBy("quality").count().collect()
             good = marks.where("quality = 1").count()
             assert {r.quality: r["count"] for r in kept}[1] >= 0.95 * good
-    assert set(now.columns) == {"doc_id", "pieces", "score"}
+    assert set(now.columns) == {"doc_id", "pieces", "score", "scores", "ids_hashes", "file_no", "row_no"}
 
 
 def test_queries_give_all_segmentations(spark, coder):
