@@ -99,7 +99,7 @@ def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     found = stored(nearcopies.sets(named))
     edges = nearcopies.links(named, found)
     ids = stored(assign(found.select("doc_id", "fp"), edges).select("doc_id", "component_id"))
-    dropped(found, edges)
+    dropped(found)
     gone = stored(ids.where("doc_id <> component_id").select("doc_id").distinct())
     twice = stored(ids.where("doc_id = component_id").groupBy("doc_id").count().where("count > 1").select("doc_id"))
     dropped(ids)
