@@ -110,21 +110,38 @@ def fresh(df: DataFrame, name: str) -> str:
     return name
 
 
-def filtered(df: DataFrame, column: str, keep: Callable[[list], list], step: int = STEP) -> DataFrame:
-    """The rows for whose ``column`` values ``keep`` says True; whole rows pass through in slices, whatever their columns."""
+def _whole_rows(df: DataFrame, change: Callable, out, step: int) -> DataFrame:
+    """Whole rows through ``change`` (a record batch in, one out) in slices, whatever their columns are called; ``out`` names the columns
+    that come back, a part of ``df``'s."""
     ship(df.sparkSession)
-    at = df.columns.index(column)
 
     def run(batches):
         for batch in batches:
             few = max(1, min(step, SLICE * batch.num_rows // max(1, batch.nbytes)))
             for i in range(0, batch.num_rows, few):
-                part = batch.slice(i, few)
-                yield part.filter(pa.array(keep(part.column(at).to_pylist()), pa.bool_()))
+                yield change(batch.slice(i, few))
         released()
 
     plain = df.toDF(*[f"c{i}" for i in range(len(df.columns))])  # mapInArrow can't name columns with dots
-    return plain.mapInArrow(run, plain.schema).toDF(*df.columns)
+    kept = [f"c{df.columns.index(c)}" for c in out]
+    return plain.mapInArrow(run, plain.select(*kept).schema).toDF(*out)
+
+
+def filtered(df: DataFrame, column: str, keep: Callable[[list], list], step: int = STEP) -> DataFrame:
+    """The rows for whose ``column`` values ``keep`` says True; all columns pass through."""
+    at = df.columns.index(column)
+    return _whole_rows(df, lambda part: part.filter(pa.array(keep(part.column(at).to_pylist()), pa.bool_())), df.columns, step)
+
+
+def rewritten(df: DataFrame, column: str, given: str, fn: Callable[[list, list], list], step: int = STEP) -> DataFrame:
+    """``column`` replaced by what ``fn`` makes of its values and those of ``given``, which goes; rows of which it makes None go too."""
+    at, by = df.columns.index(column), df.columns.index(given)
+
+    def change(part: pa.RecordBatch) -> pa.RecordBatch:
+        new = pa.array(fn(part.column(at).to_pylist(), part.column(by).to_pylist()), part.schema.field(at).type)
+        return part.set_column(at, part.schema.field(at), new).filter(new.is_valid()).drop_columns([part.schema.names[by]])
+
+    return _whole_rows(df, change, [c for c in df.columns if c != given], step)
 
 
 def crc_mod(doc_id: Column, n: int) -> Column:
@@ -156,7 +173,7 @@ class Cache(dict):
 
     __slots__ = ("fn", "most")
 
-    def __init__(self, fn, most: int = 100_000):
+    def __init__(self, fn, most: int = 60_000):
         super().__init__()
         self.fn, self.most = fn, most
         _caches.append(self)
