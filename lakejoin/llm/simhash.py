@@ -71,16 +71,21 @@ def links(distinct: DataFrame) -> DataFrame:
     return pairs.union(stars.select(F.explode("near").alias("a"), "b").where("a <> b"))
 
 
-def assign(prints: DataFrame, edges: DataFrame | None = None) -> DataFrame:
-    """(doc_id, fp, component_id) from (doc_id, fp) and links (a, b) of fp; without links, those of near fingerprints."""
+def assign(prints: DataFrame) -> DataFrame:
+    """(doc_id, fp, component_id) from (doc_id, fp), and what other columns there are: near fingerprints are linked."""
+    return joined(prints, links(prints.select("fp").distinct()))
+
+
+def joined(prints: DataFrame, edges: DataFrame) -> DataFrame:
+    """``prints`` (doc_id, fp, ...) with ``component_id``, under links (a, b) of fp."""
     distinct = prints.groupBy("fp").agg(F.min("doc_id").alias("first"))
-    roots = components(links(distinct) if edges is None else edges).select(F.col("node").alias("fp"), "root")
+    roots = components(edges).select(F.col("node").alias("fp"), "root")
     grouped = cut(distinct.join(roots, "fp"))
     named = grouped.groupBy("root").agg(F.min("first").alias("component_id"))
     linked = grouped.select("fp", "root").join(named, "root").select("fp", F.col("component_id").alias("linked"))
     by_print = stored(distinct.join(linked, "fp", "left").select("fp", F.coalesce("linked", "first").alias("component_id")))
     # both sides come from files, so a fingerprint with very many copies can be split over tasks
-    return prints.join(by_print, "fp").select("doc_id", "fp", "component_id")
+    return prints.join(by_print, "fp").select(*prints.columns, "component_id")
 
 
 def op2_simhash_components(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -91,14 +96,17 @@ def op2_simhash_components(spark: SparkSession, sf_dir: str) -> DataFrame:
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keep the document with the smallest id of each component; all columns pass through.
 
-    Documents are linked where their five-word shingles have a similarity of 0.8 (see ``nearcopies``); the fingerprints
-    and the radius of op2 hold for its query alone, since two bits would miss most of such copies.
-    Rows that share a doc_id are copies or versions of one document: one row stays. Rows without an id stay.
+    Fingerprints link documents first, as in op2. Two bits miss most copies with a few words changed; so documents that are still
+    apart are linked where their five-word shingles have a similarity of 0.8 too (see ``nearcopies``). Rows that share a doc_id are copies or versions of one document: one row stays. Rows without an id stay.
     """
     named = docs.where("doc_id is not null")
-    found = stored(nearcopies.sets(named))
-    edges = nearcopies.links(named, found)
-    ids = stored(assign(found.select("doc_id", "fp"), edges).select("doc_id", "component_id"))
+    found = stored(nearcopies.sets(named, fingerprint))
+    near = stored(assign(found.select("doc_id", F.col("print").alias("fp"), F.col("fp").alias("set"))).select("component_id", "set").distinct())
+    hubs = near.groupBy("component_id").agg(F.min("set").alias("b"), F.max("set").alias("last")).where("b <> last")
+    known = near.join(hubs, "component_id").select(F.col("set").alias("a"), "b")
+    edges = nearcopies.links(named, found, known)
+    dropped(near)
+    ids = stored(joined(found.select("doc_id", "fp"), edges).select("doc_id", "component_id"))
     dropped(found)
     gone = stored(ids.where("doc_id <> component_id").select("doc_id").distinct())
     twice = stored(ids.where("doc_id = component_id").groupBy("doc_id").count().where("count > 1").select("doc_id"))
