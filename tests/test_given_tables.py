@@ -5,7 +5,7 @@ import pytest
 from lakejoin.plans import catalog
 from test_queries import duck, rows  # noqa: F401
 
-NAMES = ["confusion_published", "confusion_by_testbed", "binary_published"]
+NAMES = ["downgrade_rules", "confusion_published", "confusion_by_testbed", "binary_published"]
 
 
 @pytest.mark.parametrize("name", NAMES)
