@@ -5,7 +5,7 @@ import pytest
 from lakejoin.plans import catalog
 from test_queries import duck, rows  # noqa: F401
 
-NAMES = ["quality_worked_examples", "metrics_published", "error_profile_published", "downgrade_rules", "confusion_published", "confusion_by_testbed", "binary_published"]
+NAMES = ["semantic_share", "quality_worked_examples", "metrics_published", "error_profile_published", "downgrade_rules", "confusion_published", "confusion_by_testbed", "binary_published"]
 
 
 @pytest.mark.parametrize("name", NAMES)
