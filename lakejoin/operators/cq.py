@@ -42,16 +42,32 @@ class CQ:
             left.remove(done[-1])
         return done
 
+    def _read(self, frames: dict[str, DataFrame], d: str) -> DataFrame:
+        """The columns of a dataset that the query needs, as a set."""
+        named = {c for x, c in self._columns(frames) if x == d} | {p.left_attr for p in self.predicates if p.left_dataset == d} | {p.right_attr for p in self.predicates if p.right_dataset == d}
+        return frames[d].select(*[F.col(f"`{c}`").alias(f"{d}__{c}") for c in frames[d].columns if c in named]).distinct()
+
+    def _determined(self, out: DataFrame, shown: list[str]) -> bool:
+        """Whether each column of the joined sets is shown, or equal to one that is and of its type: then no row comes twice."""
+        types, known = dict(out.dtypes), set(shown)
+        pairs = [(f"{p.left_dataset}__{p.left_attr}", f"{p.right_dataset}__{p.right_attr}") for p in self.predicates]
+        for _ in pairs:
+            known |= {x for a, b in pairs if types[a] == types[b] and {a, b} & known for x in (a, b)}
+        return set(out.columns) <= known
+
     def run(self, frames: dict[str, DataFrame], size: dict[str, int] | None = None) -> DataFrame:
-        """Joins in sequence; a product is left only where no predicate links a dataset. Catalyst reorders and prunes."""
+        """Joins of sets in sequence; a product is left only where no predicate links a dataset. Catalyst reorders and prunes. Rows are
+        made distinct before they multiply, and after the joins only where a column that is left out can make them alike."""
         order, out, seen = self._order(size), None, set()
         for d in order:
-            frame = frames[d].select(*[F.col(f"`{c}`").alias(f"{d}__{c}") for c in frames[d].columns])
+            frame = self._read(frames, d)
             mine = [p for p in self.predicates if {p.left_dataset, p.right_dataset} <= seen | {d} and d in (p.left_dataset, p.right_dataset)]
-            on = [F.col(f"{p.left_dataset}__{p.left_attr}") == F.col(f"{p.right_dataset}__{p.right_attr}") for p in mine]
+            on = [F.col(f"`{p.left_dataset}__{p.left_attr}`") == F.col(f"`{p.right_dataset}__{p.right_attr}`") for p in mine]
             out = frame if out is None else out.crossJoin(frame) if not on else out.join(frame, on)
             seen.add(d)
-        return out.select(*[f"{d}__{c}" for d, c in self._columns(frames)]).distinct()
+        shown = [f"{d}__{c}" for d, c in self._columns(frames)]
+        rows = out.select(*[F.col(f"`{c}`") for c in shown])
+        return rows if self._determined(out, shown) else rows.distinct()
 
     def to_sql(self, frames: dict[str, DataFrame]) -> str:
         select = ", ".join(f"{d}.{c} AS {d}__{c}" for d, c in self._columns(frames))
