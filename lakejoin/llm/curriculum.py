@@ -90,16 +90,21 @@ def plan(docs: DataFrame) -> DataFrame:
 
 
 def op5_curriculum_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
-    at = position(F.col("before"), F.col("quota"), F.col("rank"))
-    return plan(documents(spark, sf_dir)).select("doc_id", "size", "source_size", "target", "taken", F.when(F.col("taken") > 0, at).alias("position"))
+    """What the mix reads of each document and where first, from the pieces in training order; documents not read come last."""
+    planned = stored(plan(documents(spark, sf_dir)))
+    order = stored(pieces(planned).orderBy("position", "source", "doc_id", "pass"))
+    own = ["doc_id", "size", "source_size", "target"]
+    read = order.groupBy(*own, "rank", "before").agg(F.sum("words").alias("taken"), F.min("position").alias("position")).select(*own, "taken", "position")
+    rest = planned.where("taken = 0").select(*own, "taken", F.lit(None).cast("double").alias("position"))
+    return read.unionByName(rest).orderBy(F.asc_nulls_last("position"), "doc_id")
 
 
 def pieces(planned: DataFrame) -> DataFrame:
-    """(doc_id, source, size, pass, words, position): one row for each time a document is read."""
+    """(doc_id, source, size, pass, words, position), and the document's place in the plan: one row for each time a document is read."""
     each = F.explode(F.sequence(F.lit(0), (F.ceil(F.col("taken") / F.greatest(F.col("size"), F.lit(1))) - 1).cast("int")))
     passes = planned.where("taken > 0").select("*", each.alias("pass"))
     at = position(F.col("pass") * F.col("source_size") + F.col("before"), F.col("quota"), F.col("rank"))
-    return passes.select("doc_id", "source", "size", "pass", F.least(F.col("size"), F.col("taken") - F.col("pass") * F.col("size")).alias("words"), at.alias("position"))
+    return passes.select("doc_id", "source", "size", "pass", F.least(F.col("size"), F.col("taken") - F.col("pass") * F.col("size")).alias("words"), at.alias("position"), "source_size", "target", "rank", "before")
 
 
 def mix(docs: DataFrame) -> DataFrame:
