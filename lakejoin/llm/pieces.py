@@ -13,7 +13,7 @@ The score is the sum of the pieces' scores. A blank is the mark U+2581, and a te
 that the text itself holds is written as bytes, so decoding always returns the text.
 
 Null and empty texts have no piece and score 0. Equal scores keep the order of discovery, which depends on the text
-alone. Repeated rows encode alike.
+alone. Repeated rows encode alike, and once where they stand together.
 """
 
 from __future__ import annotations
@@ -40,8 +40,10 @@ from .common import _caches, documents, map_rows, tokenizer_file
 MODEL, NBEST = "piece_bpe_32k.model", 2
 #: Chunks of one generation of remembered ones; longest that is remembered and searched in step, in characters.
 CHUNKS, LONGEST = 60_000, 48
-#: Rows whose chunks are searched together, by the query alone and beside a pipeline's other memory.
+#: Rows whose chunks are searched together, by the query alone and beside a pipeline's other memory; most characters of texts that are
+#: cut into chunks at once, and of new chunks that are searched in step at once.
 TOGETHER, FEWER = 512, 256
+CUT, STEPPED = 1 << 21, 1 << 16
 INFINITE = float("inf")
 MARK = "▁"
 _FAST = re.compile(rf"{MARK}*[^{MARK}\n]+|{MARK}+|\n")
@@ -169,9 +171,17 @@ class Pieces:
         return [s[a:b] for a, b in zip(cuts, cuts[1:])]
 
     def _short(self, chunks: list[str]) -> dict[str, tuple[tuple[float, bytes], ...]]:
-        """The N best (score, ids) of each of some different short chunks, searched in step."""
-        if not chunks:
-            return {}
+        """The N best (score, ids) of each of some different short chunks, shortest first, searched in step. Lattices take some hundred
+        bytes a character, so ``STEPPED`` characters at once bound memory; as chunks are sorted, each search has few steps besides."""
+        found: dict[str, tuple[tuple[float, bytes], ...]] = {}
+        parts = np.cumsum(np.fromiter(map(len, chunks), np.int64, len(chunks))) // STEPPED
+        edges = [0, *(np.flatnonzero(np.diff(parts)) + 1).tolist(), len(chunks)]
+        for a, b in zip(edges, edges[1:]):
+            if a < b:
+                found |= self._stepped(chunks[a:b])
+        return found
+
+    def _stepped(self, chunks: list[str]) -> dict[str, tuple[tuple[float, bytes], ...]]:
         ranks = []
         for scores, pieces, counts in lattices.nbest(self.flat, self.weights, self.unknown, chunks, self.nbest):
             plain = pieces < len(self.weights)
@@ -192,7 +202,7 @@ class Pieces:
     def _long(self, s: str) -> tuple[tuple[float, bytes], ...]:
         """The N best (score, ids) of a chunk of any length: of its parts, and a long part by itself."""
         parts = self._cut(s)
-        known = self._short([p for p in dict.fromkeys(parts) if len(p) <= LONGEST])
+        known = self._short(sorted((p for p in dict.fromkeys(parts) if len(p) <= LONGEST), key=len))
         for p in dict.fromkeys(parts):
             if len(p) > LONGEST:
                 known[p] = tuple((w, array("i", ids).tobytes()) for w, ids in self.search(p, self.nbest))
@@ -259,15 +269,29 @@ class Pieces:
         return out
 
     def many(self, texts: list[str | None]) -> list[list[tuple[float, bytes]]]:
-        """The N best (score, ids as little-endian int32) of each text, best first; fewer where it has fewer segmentations."""
-        cut = [self.runs(t) if t else [] for t in texts]
-        full = [r for r in cut if r]
-        if not full:
-            return [[(0.0, b"")] for _ in cut]
-        known = self._known(set().union(*full) - {None})
+        """The N best (score, ids as little-endian int32) of each text, best first; fewer where it has fewer segmentations. Equal texts
+        are encoded once."""
+        found: dict[str | None, list[tuple[float, bytes]]] = {}
+        part, held = [], 0
+        for t in dict.fromkeys(texts):
+            if not t:
+                found[t] = [(0.0, b"")]
+                continue
+            if held + len(t) > CUT and part:
+                found |= self._each(part)
+                part, held = [], 0
+            part.append(t)
+            held += len(t)
+        if part:
+            found |= self._each(part)
+        return [found[t] for t in texts]
+
+    def _each(self, texts: list[str]) -> dict[str, list[tuple[float, bytes]]]:
+        """The N best of some different texts, none empty."""
+        cut = [self.runs(t) for t in texts]
+        known = self._known(set().union(*cut) - {None})
         known[None] = self.mark
-        found = iter(self._joined(full, known))
-        return [next(found) if r else [(0.0, b"")] for r in cut]
+        return dict(zip(texts, self._joined(cut, known)))
 
     def runs(self, text: str) -> list[str | None]:
         """Chunks of a text in order; None stands for a mark in the text itself."""
@@ -388,5 +412,7 @@ def placed(docs: DataFrame) -> DataFrame:
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The segmentations (see ``encoded``) of every document, with (file_no, row_no), by which they sort in training order."""
-    return encoded(placed(docs), also=("file_no", "row_no"))
+    """The segmentations (see ``encoded``) of every document, with (file_no, row_no), by which they sort in training order. A mix repeats
+    rows; repeats are brought together, where one search serves them all."""
+    alike = F.xxhash64("doc_id", "text")
+    return encoded(placed(docs).repartition(alike).sortWithinPartitions(alike), also=("file_no", "row_no"))
