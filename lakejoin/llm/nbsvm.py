@@ -19,7 +19,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Cache, crc_mod, documents, filtered, labelled, labels, map_rows
+from .common import Cache, crc_mod, documents, filtered, labelled, labels, map_rows, released
 
 BUCKETS = 1 << 18
 #: Most labelled rows a fit uses.
@@ -159,14 +159,22 @@ def fit_rows(sets: list[np.ndarray], y: np.ndarray, c: float = 1.0) -> Model:
 
 
 def fit(sample: DataFrame) -> Model:
-    """Fit on (doc_id, text, y): indicator sets are made on the executors; the bounded sets come to the driver."""
+    """Fit on (doc_id, text, y): indicator sets are made on the executors; the bounded sets come to the driver, which gives their
+    memory back before it goes on."""
+    model = fit_rows(*_gathered(sample))
+    released()
+    return model
+
+
+def _gathered(sample: DataFrame) -> tuple[list[np.ndarray], np.ndarray]:
+    """Indicator sets and labels in the order of the fit."""
 
     def rows(part: dict) -> dict:
         return {"doc_id": part["doc_id"], "y": part["y"], "ids": [indicators(x).tobytes() for x in part["text"]]}
 
     got = map_rows(sample.select("doc_id", "y", "text"), rows, "doc_id bigint, y int, ids binary").toArrow().to_pydict()
     order = sorted(range(len(got["y"])), key=lambda i: (zlib.crc32(str(got["doc_id"][i]).encode()), got["doc_id"][i], got["ids"][i]))
-    return fit_rows([np.frombuffer(got["ids"][i], np.int32) for i in order], np.array([got["y"][i] for i in order]))
+    return [np.frombuffer(got["ids"][i], np.int32) for i in order], np.array([got["y"][i] for i in order])
 
 
 def score(docs: DataFrame, model: Model) -> DataFrame:

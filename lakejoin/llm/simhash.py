@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import nearcopies
-from .common import cut, documents, dropped, fresh, map_rows, stored
+from .common import documents, dropped, fresh, map_rows, stored
 from .components import components
 
 SEGMENTS, WIDTH, RADIUS, SEED = 16, 4, 2, 42
@@ -79,11 +79,12 @@ def assign(prints: DataFrame) -> DataFrame:
 def joined(prints: DataFrame, edges: DataFrame) -> DataFrame:
     """``prints`` (doc_id, fp, ...) with ``component_id``, under links (a, b) of fp."""
     distinct = prints.groupBy("fp").agg(F.min("doc_id").alias("first"))
-    roots = components(edges).select(F.col("node").alias("fp"), "root")
-    grouped = cut(distinct.join(roots, "fp"))
+    roots = components(edges)
+    grouped = stored(distinct.join(roots.select(F.col("node").alias("fp"), "root"), "fp"))
     named = grouped.groupBy("root").agg(F.min("first").alias("component_id"))
     linked = grouped.select("fp", "root").join(named, "root").select("fp", F.col("component_id").alias("linked"))
     by_print = stored(distinct.join(linked, "fp", "left").select("fp", F.coalesce("linked", "first").alias("component_id")))
+    dropped(roots, grouped)
     # both sides come from files, so a fingerprint with very many copies can be split over tasks
     return prints.join(by_print, "fp").select(*prints.columns, "component_id")
 
